@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
-from signpart.llm import line_dedup
+from signpart.llm import line_dedup, mixing, packing
 
 QUERIES = {
+    "op3_mix_sources": mixing.op3_mix_sources,
     "op4_line_dedup": line_dedup.op4_line_dedup,
+    "op9_best_fit_packing": packing.op9_best_fit_packing,
 }
 
 ORACLES = {
+    "op3_mix_sources": mixing.OP3_SQL,
     "op4_line_dedup": line_dedup.OP4_SQL,
 }
