@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from signpart.llm import line_dedup, mixing, packing
+from signpart.llm import language_id, line_dedup, mixing, packing
 
 QUERIES = {
     "op3_mix_sources": mixing.op3_mix_sources,
     "op4_line_dedup": line_dedup.op4_line_dedup,
+    "op8_language_id": language_id.op8_language_id,
     "op9_best_fit_packing": packing.op9_best_fit_packing,
 }
 
