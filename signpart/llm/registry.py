@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-from signpart.llm import language_id, line_dedup, mixing, packing
+from signpart.llm import language_id, line_dedup, mixing, packing, substring_dedup
 
 QUERIES = {
     "op3_mix_sources": mixing.op3_mix_sources,
     "op4_line_dedup": line_dedup.op4_line_dedup,
     "op8_language_id": language_id.op8_language_id,
     "op9_best_fit_packing": packing.op9_best_fit_packing,
+    "op10_substring_dedup": substring_dedup.op10_substring_dedup,
 }
 
 ORACLES = {
     "op3_mix_sources": mixing.OP3_SQL,
     "op4_line_dedup": line_dedup.OP4_SQL,
+    "op10_substring_dedup": substring_dedup.OP10_SQL,
 }

@@ -26,6 +26,7 @@ def written(df: DataFrame, folder: str | None = None) -> DataFrame:
     spark = df.sparkSession
     path = folder or shared_folder(spark)
     df.write.mode("overwrite").parquet(path)
+    spark.sparkContext._jvm.System.gc()  # lets Spark remove the shuffle files of what is written now
     return spark.read.schema(df.schema).parquet(path)
 
 
