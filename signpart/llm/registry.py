@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from signpart.llm import jaccard_join, language_id, line_dedup, mixing, packing, substring_dedup
+from signpart.llm import chat_format, jaccard_join, language_id, line_dedup, mixing, packing, substring_dedup
 
 QUERIES = {
     "op3_mix_sources": mixing.op3_mix_sources,
     "op4_line_dedup": line_dedup.op4_line_dedup,
+    "op6_chat_format": chat_format.op6_chat_format,
     "op7_jaccard_join": jaccard_join.op7_jaccard_join,
     "op8_language_id": language_id.op8_language_id,
     "op9_best_fit_packing": packing.op9_best_fit_packing,
@@ -16,6 +17,7 @@ QUERIES = {
 ORACLES = {
     "op3_mix_sources": mixing.OP3_SQL,
     "op4_line_dedup": line_dedup.OP4_SQL,
+    "op6_chat_format": chat_format.OP6_SQL,
     "op7_jaccard_join": jaccard_join.OP7_SQL,
     "op10_substring_dedup": substring_dedup.OP10_SQL,
 }
