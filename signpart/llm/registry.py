@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from signpart.llm import chat_format, jaccard_join, language_id, line_dedup, mixing, packing, substring_dedup
+from signpart.llm import chat_format, jaccard_join, language_id, line_dedup, mixing, packing, substring_dedup, vector_dedup
 
 QUERIES = {
+    "op2_vector_dedup": vector_dedup.op2_vector_dedup,
     "op3_mix_sources": mixing.op3_mix_sources,
     "op4_line_dedup": line_dedup.op4_line_dedup,
     "op6_chat_format": chat_format.op6_chat_format,
@@ -15,6 +16,7 @@ QUERIES = {
 }
 
 ORACLES = {
+    "op2_vector_dedup": vector_dedup.OP2_SQL,
     "op3_mix_sources": mixing.OP3_SQL,
     "op4_line_dedup": line_dedup.OP4_SQL,
     "op6_chat_format": chat_format.OP6_SQL,
