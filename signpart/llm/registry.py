@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from signpart.llm import chat_format, jaccard_join, language_id, line_dedup, mixing, packing, substring_dedup, vector_dedup
+from signpart.llm import chat_format, jaccard_join, language_id, line_dedup, mixing, order_minhash, packing, substring_dedup, vector_dedup
 
 QUERIES = {
+    "op1_order_minhash": order_minhash.op1_order_minhash,
     "op2_vector_dedup": vector_dedup.op2_vector_dedup,
     "op3_mix_sources": mixing.op3_mix_sources,
     "op4_line_dedup": line_dedup.op4_line_dedup,
