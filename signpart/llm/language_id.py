@@ -30,7 +30,7 @@ from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from signpart.llm import hashing, store
-from signpart.llm.arrowmap import with_columns
+from signpart.llm.arrowmap import arrow_map, with_columns
 
 UNDECIDED = "und"
 SIZES = (3, 4)
@@ -135,7 +135,7 @@ def fit(labelled: DataFrame, sample: int = SAMPLE, grams: int = GRAMS) -> Filter
                         codes, n = np.unique(gram_codes(data, size)[mine & _inside(offsets, len(data), size)], return_counts=True)
                         yield pa.RecordBatch.from_arrays([pa.array([lang] * len(codes)), pa.array([size] * len(codes), pa.int32()), pa.array(codes, pa.int64()), pa.array(n, pa.int64())], names=["lang", "size", "code", "n"])
 
-    counted = texts.mapInArrow(count, "lang string, size int, code long, n long").groupBy("lang", "size", "code").agg(F.sum("n").alias("n"))
+    counted = texts.transform(arrow_map, count, "lang string, size int, code long, n long").groupBy("lang", "size", "code").agg(F.sum("n").alias("n"))
     share = F.col("n") / F.sum("n").over(Window.partitionBy("lang", "size"))
     shared = counted.withColumn("share", share)
     typical = shared.withColumn("most", F.max("share").over(Window.partitionBy("size", "code"))).where("share >= 0.5 * most")

@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from signpart.llm import store
-from signpart.llm.arrowmap import with_columns
+from signpart.llm.arrowmap import arrow_map, with_columns
 
 #: Rows of counts that a task combines before it hands them on.
 _COMBINE = 1 << 17
@@ -70,7 +70,7 @@ def line_counts(docs: DataFrame, min_chars: int = 1) -> DataFrame:
         if seen:
             yield out()
 
-    per_task = docs.select("text").mapInArrow(count, "key binary, n_docs long")
+    per_task = docs.select("text").transform(arrow_map, count, "key binary, n_docs long")
     return per_task.groupBy("key").agg(F.sum("n_docs").alias("n_docs"))
 
 
@@ -157,7 +157,7 @@ def drop_lines(docs: DataFrame, common: DataFrame, min_chars: int = 1, broadcast
             rows = [(i, k) for i, text in zip(ids, _texts(batch)) for k in {*_keys(text, min_chars)} - {None}]
             yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.binary())], names=["__id", "key"])
 
-    found = keyed.select("__id", "text").mapInArrow(pairs, "__id string, key binary").distinct().join(common, "key")
+    found = keyed.select("__id", "text").transform(arrow_map, pairs, "__id string, key binary").distinct().join(common, "key")
     per_text = found.groupBy("__id").agg(F.collect_set("key").alias("__drop"))
     joined = keyed.join(per_text, "__id", "left")
 

@@ -33,6 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from signpart.llm import store
+from signpart.llm.arrowmap import arrow_map
 from signpart.llm.components import components
 
 #: Bound of the vectors that codebooks and the number of visits are fitted on.
@@ -136,7 +137,7 @@ def unit_classes(vectors: DataFrame) -> tuple[DataFrame, DataFrame]:
                 out[r] = u.astype("<f8").tobytes()
             yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(out, pa.binary())], names=["vec_id", "unit"])
 
-    made = store.written(vectors.select("vec_id", "embedding").mapInArrow(make, "vec_id long, unit binary").withColumns({"k1": F.xxhash64("unit"), "k2": F.md5("unit")}))
+    made = store.written(vectors.select("vec_id", "embedding").transform(arrow_map, make, "vec_id long, unit binary").withColumns({"k1": F.xxhash64("unit"), "k2": F.md5("unit")}))
     usable = made.where("unit is not null and vec_id is not null")
     classes = store.written(usable.groupBy("k1", "k2").agg(F.min(F.struct("vec_id", "unit")).alias("x"), F.count(F.lit(1)).alias("copies")).select("k1", "k2", F.col("x.vec_id").alias("class_id"), F.col("x.unit").alias("unit"), "copies"))
     members = made.select("vec_id", F.when(F.col("unit").isNotNull(), F.col("k1")).alias("k1"), F.when(F.col("unit").isNotNull(), F.col("k2")).alias("k2")).join(classes.select("k1", "k2", "class_id", "copies"), ["k1", "k2"], "left").select("vec_id", "class_id", "copies")
@@ -179,7 +180,7 @@ def _search(classes: DataFrame, length: int, threshold: float, recall: float) ->
                 ends = np.arange(len(cells) + 1, dtype=np.int32) * cells.shape[1]
                 yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(3)), pa.ListArray.from_arrays(pa.array(ends), pa.array(cells.ravel().astype(np.int64)))], names=["class_id", "unit", "copies", "cells"])
 
-    placed = store.written(classes.select("class_id", "unit", "copies").mapInArrow(place, "class_id long, unit binary, copies long, cells array<long>"))
+    placed = store.written(classes.select("class_id", "unit", "copies").transform(arrow_map, place, "class_id long, unit binary, copies long, cells array<long>"))
     own = F.element_at("cells", 1)
     # As many tiles as a cell's members need; at most MOST_CODES**2 rows.
     tiles = placed.groupBy(own.alias("cell")).agg(F.ceil(F.count(F.lit(1)) / F.lit(TILE)).cast("int").alias("tiles"))
@@ -244,7 +245,7 @@ def _search(classes: DataFrame, length: int, threshold: float, recall: float) ->
                 group.append(batch.slice(a, b - a))
         yield from compare(iter(group))
 
-    return store.written(dealt.mapInArrow(by_tile, "u long, v long, n long"))
+    return store.written(dealt.transform(arrow_map, by_tile, "u long, v long, n long"))
 
 
 def near_vectors(vectors: DataFrame, threshold: float = 0.95, recall: float = TARGET_RECALL) -> DataFrame:
