@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from signpart.llm import hashing, store
-from signpart.llm.arrowmap import with_columns
+from signpart.llm.arrowmap import arrow_map, with_columns
 
 WIDTH, GRAM = 50, 10
 
@@ -96,7 +96,7 @@ def segments(docs: DataFrame, width: int = WIDTH, gram: int = GRAM) -> DataFrame
                         names=["doc_id", "__key", "at", "n", "anchor", "g1", "g2"],
                     )
 
-    return _keyed(docs.where("doc_id is not null")).select(F.col("doc_id").cast("long"), "__key", "text").mapInArrow(find, _SEGMENT)
+    return _keyed(docs.where("doc_id is not null")).select(F.col("doc_id").cast("long"), "__key", "text").transform(arrow_map, find, _SEGMENT)
 
 
 class FingerprintIndex:
@@ -170,31 +170,40 @@ def _windows(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
                 )
 
     joined = _keyed(docs.where("doc_id is not null")).select(F.col("doc_id").cast("long"), "__key", "text").dropDuplicates(["doc_id", "__key"]).join(lists, ["doc_id", "__key"])
-    return joined.select("doc_id", "__key", "text", "ats", "ns").mapInArrow(find, _WINDOW)
+    return joined.select("doc_id", "__key", "text", "ats", "ns").transform(arrow_map, find, _WINDOW)
 
 
 def repeated_ranges(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, batches: int = 2) -> DataFrame:
-    """(doc_id, __key, begin, stop): word ranges covered by windows that a smaller document also has."""
+    """(__doc, __of, __begin, __stop): for each row that loses words, the word ranges covered by windows that a smaller document also has.
+
+    Written, as are the steps before; each step's tables are removed when the next one is written.
+    """
     spark = docs.sparkSession
-    index, parts = FingerprintIndex(spark), []
+    index, folder = FingerprintIndex(spark), store.shared_folder(spark)
     batch = F.pmod(F.xxhash64("doc_id"), F.lit(batches))
+    rows = None
     for k in range(batches):
-        parts.append(store.written(segments(docs.where(batch == k), width, gram)))
-        index.add(parts[-1])
-    rows = parts[0]
-    for part in parts[1:]:
-        rows = rows.unionByName(part)
+        part = store.written(segments(docs.where(batch == k), width, gram), f"{folder}/segments/{k}")
+        index.add(part)
+        rows = part if rows is None else rows.unionByName(part)
     least = index.compact().withColumnRenamed("doc_id", "least")
 
     # Anchors with more than one segment: their segments may share windows in part.
     several = least.groupBy("anchor").agg((F.count(F.lit(1)) > 1).alias("several")).where("several")
-    judged = store.written(rows.join(least.join(several, "anchor", "left"), ["anchor", "g1", "g2"]).where("doc_id > least or several").select("doc_id", "__key", "at", "n", (F.col("doc_id") > F.col("least")).alias("whole")))
+    marked = rows.join(least.join(several, "anchor", "left"), ["anchor", "g1", "g2"]).where("doc_id > least or several")
+    judged = store.written(marked.select("doc_id", "__key", "at", "n", (F.col("doc_id") > F.col("least")).alias("whole")), f"{folder}/judged")
+    store.remove(spark, f"{folder}/segments")
+    store.remove(spark, index.folder)
     whole = judged.where("whole").select("doc_id", "__key", F.col("at").alias("begin"), (F.col("at") + F.col("n") + F.lit(width - 1)).alias("stop"))
 
-    windows = store.written(_windows(docs, judged.where("not whole"), width))
+    windows = store.written(_windows(docs, judged.where("not whole"), width), f"{folder}/windows")
     first = windows.groupBy("h1", "h2").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most")).where("least < most").drop("most")
     partial = windows.join(first, ["h1", "h2"]).where("doc_id > least").select("doc_id", "__key", F.col("at").alias("begin"), (F.col("at") + F.lit(width)).alias("stop"))
-    return whole.unionByName(partial)
+    lists = whole.unionByName(partial).groupBy(F.col("doc_id").alias("__doc"), F.col("__key").alias("__of")).agg(F.collect_set(F.struct("begin", "stop")).alias("r"))
+    found = store.written(lists.select("__doc", "__of", F.col("r.begin").alias("__begin"), F.col("r.stop").alias("__stop")), f"{folder}/ranges")
+    store.remove(spark, f"{folder}/judged")
+    store.remove(spark, f"{folder}/windows")
+    return found
 
 
 _ADDED = {"text": T.StringType(), "n_words": T.LongType(), "n_removed": T.LongType()}
@@ -202,8 +211,7 @@ _ADDED = {"text": T.StringType(), "n_words": T.LongType(), "n_removed": T.LongTy
 
 def substring_dedup(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, batches: int = 2) -> DataFrame:
     """docs with ``text`` as its kept words joined by one space, ``n_words`` (before) and ``n_removed``."""
-    ranges = repeated_ranges(docs, width, gram, batches).withColumnsRenamed({"doc_id": "__doc", "__key": "__of"})
-    lists = ranges.groupBy("__doc", "__of").agg(F.collect_set(F.struct("begin", "stop")).alias("__ranges")).select("__doc", "__of", F.col("__ranges.begin").alias("__begin"), F.col("__ranges.stop").alias("__stop"))
+    lists = repeated_ranges(docs, width, gram, batches)
     joined = _keyed(docs).join(lists, (F.col("doc_id") == F.col("__doc")) & (F.col("__key") == F.col("__of")), "left")
 
     def make(batch: pa.RecordBatch) -> dict:
