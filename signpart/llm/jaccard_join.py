@@ -6,7 +6,8 @@ Sizes are dealt into bands a factor t wide, so such a pair lies in one band or i
 neighbouring ones.  For every pair of bands the hash range of shingles is cut into
 one more part than a pair can have differences: in at least one part both sets are
 identical.  A tile is (bands, part, hash of the set's part); all pairs meet in a
-tile.
+tile.  Spare parts make up for parts that hold no shingle, so that a set need not
+enter the tiles of empty parts, where everything would meet.
 
 In a tile the least document is compared with all others, which joins a group of
 near copies with as many comparisons as it has members.  What that leaves is only
@@ -31,12 +32,17 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from signpart.llm import hashing, store
+from signpart.llm.arrowmap import arrow_map
 from signpart.llm.components import components
 
 BITMAP_WORDS = 8
+#: Tiles shared by several classes: sent to every executor up to here, joined beyond.
+BROADCAST_TILES = 2_000_000
 #: Ids of documents whose texts are compared: sent to every executor up to here, joined beyond.
 BROADCAST_IDS = 2_000_000
 
+_BITS = [f"b{i}" for i in range(BITMAP_WORDS)]
+
 
 class Rule:
     """Shingles of ``words`` words; links from ``percent`` of 100 on."""
@@ -52,10 +58,18 @@ class Rule:
     def band(self, size: int) -> int:
         return int(np.searchsorted(self.bounds, size, "right")) - 1
 
-    def parts(self, band: int) -> int:
-        """One more than the most differences of a linked pair with both sizes up to the end of the band."""
+    def parts(self, band: int) -> tuple[int, int]:
+        """(number of parts, empty parts that a set may leave out) for pairs with sizes up to the end of the band.
+
+        With one part more than a linked pair can have differences, and ``spare``
+        parts on top, a set with at most ``spare`` empty parts shares a part that
+        isn't empty with each partner.
+        """
         largest = int(self.bounds[band + 1]) - 1
-        return (100 - self.percent) * 2 * largest // (100 + self.percent) + 1
+        need = (100 - self.percent) * 2 * largest // (100 + self.percent) + 1
+        empty = need * np.exp(-self.bounds[max(0, band - 1)] / need)
+        spare = int(np.ceil(empty + 3 * np.sqrt(empty))) if need > 1 else 0
+        return need + spare, spare
 
     def sets(self, data: np.ndarray, offsets: np.ndarray) -> Iterator[np.ndarray]:
         """The sorted distinct shingle hashes of each row."""
@@ -81,11 +95,13 @@ class Rule:
         total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(hashing.mix(found + np.uint64(0x5851F42D4C957F2D)))])
         band, out = self.band(len(found)), []
         for pair in (band, band + 1):  # with the band below, and with the band above
-            parts = self.parts(pair)
+            parts, spare = self.parts(pair)
             cut = np.searchsorted(found, (np.arange(1, parts, dtype=np.float64) * (2.0**64 / parts)).astype(np.uint64))
             cut = np.concatenate([[0], cut, [len(found)]])
             place = np.arange(parts, dtype=np.uint64) + np.uint64((pair << 40) & ((1 << 64) - 1))
-            out.append(hashing.mix(hashing.mix(total[cut[1:]] - total[cut[:-1]]) ^ hashing.mix(place)))
+            tile = hashing.mix(hashing.mix(total[cut[1:]] - total[cut[:-1]]) ^ hashing.mix(place))
+            filled = cut[1:] > cut[:-1]
+            out.append(tile[filled] if parts - int(filled.sum()) <= spare else tile)
         return np.concatenate(out)
 
 
@@ -96,7 +112,7 @@ def _bitmap(found: np.ndarray) -> np.ndarray:
 
 
 def signatures(docs: DataFrame, rule: Rule) -> DataFrame:
-    """(doc_id, n, k1, k2, bits, tiles): set size, 128-bit hash of the set, bitmap and tile hashes."""
+    """(doc_id, n, k1, k2, b0 …, tiles): set size, 128-bit hash of the set, bitmap and tile hashes."""
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -113,24 +129,24 @@ def signatures(docs: DataFrame, rule: Rule) -> DataFrame:
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column(0).slice(a, b - a).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(hashing.signed(np.asarray(k1, np.uint64))), pa.array(hashing.signed(np.asarray(k2, np.uint64))),
-                        pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1, dtype=np.int32) * BITMAP_WORDS), pa.array(np.concatenate(bits))), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat)),
+                        *(pa.array(column) for column in np.ascontiguousarray(np.stack(bits).T)), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat)),
                     ],
-                    names=["doc_id", "n", "k1", "k2", "bits", "tiles"],
+                    names=["doc_id", "n", "k1", "k2", *_BITS, "tiles"],
                 )
 
-    return docs.select("doc_id", "text").mapInArrow(make, "doc_id long, n long, k1 long, k2 long, bits array<long>, tiles array<long>")
+    return docs.select("doc_id", "text").transform(arrow_map, make, f"doc_id long, n long, k1 long, k2 long, {', '.join(f'{b} long' for b in _BITS)}, tiles array<long>")
 
 
 def may_link(percent: int) -> Column:
-    """Whether sizes and bitmaps of columns n/m, bits/other allow a link.
+    """Whether sizes n, m and bitmaps b0 … and c0 … allow a link.
 
     A bit that one bitmap has and the other lacks stands for a shingle that only
-    the first set has, so the counts of such bits bound both differences below and
-    the overlap above.
+    the first set has, so the counts of such bits bound both differences from
+    below and the overlap from above.
     """
-    extra = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: F.bit_count(p.bitwiseAND(F.bitwise_not(q)))), F.lit(0), lambda s, c: s + c)
+    extra = lambda x, y: sum(F.bit_count(F.col(f"{x}{i}").bitwiseAND(F.bitwise_not(f"{y}{i}"))) for i in range(BITMAP_WORDS))
     n, m = F.col("n"), F.col("m")
-    overlap = F.least(n - extra(F.col("bits"), F.col("other")), m - extra(F.col("other"), F.col("bits")))
+    overlap = F.least(n - extra("b", "c"), m - extra("c", "b"))
     return (100 * F.least(n, m) >= percent * F.greatest(n, m)) & (100 * overlap >= percent * (n + m - overlap))
 
 
@@ -159,7 +175,7 @@ def _verified(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
                     ok[i] = same > 0 and 100 * same >= percent * (len(both) - same)
             yield pa.RecordBatch.from_arrays([pa.array(u[ok]), pa.array(v[ok])], names=["u", "v"])
 
-    return store.written(both.mapInArrow(check, "u long, v long"))
+    return store.written(both.transform(arrow_map, check, "u long, v long"))
 
 
 def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame, DataFrame]:
@@ -168,23 +184,32 @@ def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame,
     members has doc_id, n_shingles and class_id, the least doc_id with that set.
     """
     rule = rule or Rule()
-    made = store.written(signatures(docs, rule))
-    classes = made.where("n > 0 and doc_id is not null").groupBy("k1", "k2", "n")
-    best = store.written(classes.agg(F.min(F.struct("doc_id", "bits", "tiles")).alias("x")).select("k1", "k2", "n", F.col("x.doc_id").alias("doc_id"), F.col("x.bits").alias("bits"), F.col("x.tiles").alias("tiles")))
-    members = made.select("doc_id", "n", "k1", "k2").join(best.select("k1", "k2", "n", F.col("doc_id").alias("class_id")), ["k1", "k2", "n"], "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("class_id", "doc_id")).alias("class_id"))
-
-    tile = best.select("doc_id", F.explode("tiles").alias("tile"))
-    shared = tile.groupBy("tile").agg(F.min("doc_id").alias("u"), F.max("doc_id").alias("last")).where("u < last").select("tile", "u")
-    in_tile = store.written(tile.join(shared, "tile").select("tile", "u", F.col("doc_id").alias("v")))
-
-    light = best.select("doc_id", "n", "bits")
-    other = light.select(F.col("doc_id").alias("v"), F.col("n").alias("m"), F.col("bits").alias("other"))
+    spark = docs.sparkSession
+    first = store.shared_folder(spark)
+    made = store.written(signatures(docs, rule), first)
+    usable = made.where("n > 0 and doc_id is not null")
+    classes = store.written(usable.groupBy("k1").agg(F.min("doc_id").alias("class_id"), F.min("n").alias("n"), F.min("k2").alias("k2"), F.max("k2").alias("k2_most"), *(F.min(b).alias(b) for b in _BITS)))
+    if not classes.where("k2 <> k2_most").isEmpty():
+        raise RuntimeError("two shingle sets have one 64-bit hash")
+    members = made.select("doc_id", "n", "k1").join(classes.select(F.col("k1").alias("__k"), "class_id"), (F.col("k1") == F.col("__k")) & (F.col("n") > 0), "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("class_id", "doc_id")).alias("class_id"))
+    members = store.written(members)
+
+    # Only tiles of several classes go on; each class is named by its set's hash until then.
+    tile = usable.select("k1", F.explode("tiles").alias("tile"))
+    shared = store.written(tile.groupBy("tile").agg(F.min("k1").alias("a"), F.max("k1").alias("b")).where("a < b").select("tile"))
+    shared = F.broadcast(shared) if store.small_enough(shared, BROADCAST_TILES) else shared
+    in_tile = store.written(tile.join(shared, "tile").distinct().join(classes.select("k1", "class_id"), "k1").select("tile", F.col("class_id").alias("v")))
+    store.remove(spark, first)
+    leads = in_tile.groupBy("tile").agg(F.min("v").alias("u"))
+
+    light = classes.select(F.col("class_id").alias("u"), "n", *_BITS)
+    other = classes.select(F.col("class_id").alias("v"), F.col("n").alias("m"), *(F.col(b).alias(f"c{i}") for i, b in enumerate(_BITS)))
 
     def passing(pairs: DataFrame) -> DataFrame:
-        sized = pairs.join(light.withColumnRenamed("doc_id", "u"), "u").join(other, "v")
+        sized = pairs.join(light, "u").join(other, "v")
         return sized.where(may_link(rule.percent)).select("u", "v")
 
-    tried = store.written(in_tile.where("u < v").select("u", "v").distinct())
+    tried = store.written(in_tile.join(leads, "tile").where("u < v").select("u", "v").distinct())
     links = _verified(docs, store.written(passing(tried)), rule)
 
     # What is left: pairs of one tile in different components.
