@@ -108,15 +108,15 @@ def in_ring(docs: DataFrame, parts: int | None = None) -> DataFrame:
     bucket = F.when(F.col("doc_id").isNull(), F.lit(-1)).otherwise(_search(bounds, F.col("doc_id"), 0)).cast("int")
     ranged = clean.withColumn("bucket", bucket)
     order = Window.partitionBy("bucket").orderBy(F.desc_nulls_last("doc_id"), F.desc("text"))
-    here = ranged.select("bucket", "doc_id", "text", F.lead(F.struct("doc_id", "text")).over(order).alias("next"))
+    # Plain columns: a struct would travel beside the text that it repeats.
+    here = ranged.select("bucket", "doc_id", "text", F.lead("doc_id").over(order).alias("after_id"), F.lead("text").over(order).alias("after_text"), F.lead(F.lit(True)).over(order).alias("inner"))
     # One row for each range: its first document, and that of the range that follows it.
     top = ranged.groupBy("bucket").agg(F.max(F.struct(F.col("doc_id").isNotNull().alias("known"), "doc_id", "text")).alias("x")).select("bucket", F.struct("x.doc_id", "x.text").alias("first"))
     ids = [r[0] for r in top.select("bucket").orderBy(F.desc("bucket")).collect()]
     follows = spark.createDataFrame([(a, b) for a, b in zip(ids, [*ids[1:], *ids[:1]])], "bucket int, after int")
     after = follows.join(top.withColumnRenamed("bucket", "after"), "after").select(F.col("bucket").alias("at"), "first")
-    joined = here.join(after, (F.col("bucket") == F.col("at")) & F.col("next").isNull(), "left")
-    following = F.coalesce("next", "first")
-    return joined.select("doc_id", "text", following["doc_id"].alias("next_id"), following["text"].alias("next_text"))
+    joined = here.join(after, (F.col("bucket") == F.col("at")) & F.col("inner").isNull(), "left")
+    return joined.select("doc_id", "text", F.when(F.col("inner"), F.col("after_id")).otherwise(F.col("first.doc_id")).alias("next_id"), F.when(F.col("inner"), F.col("after_text")).otherwise(F.col("first.text")).alias("next_text"))
 
 
 def _search(bounds: list[int], x: Column, base: int) -> Column:
