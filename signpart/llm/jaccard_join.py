@@ -11,7 +11,8 @@ enter the tiles of empty parts, where everything would meet.
 
 In a tile the least document is compared with all others, which joins a group of
 near copies with as many comparisons as it has members.  What that leaves is only
-pairs of a tile whose documents are not in one component yet.  A pair's sizes and
+pairs of a tile whose documents are not in one component yet, with one of them
+outside the component that has most documents of the tile.  A pair's sizes and
 the bit counts of its hashed bitmaps bound the overlap from above; the exact
 intersection of the sorted shingle arrays decides what passes the bound.
 
@@ -218,10 +219,16 @@ def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame,
     labelled = in_tile.join(label, in_tile["v"] == label["id"], "left").select("tile", "v", lead.alias("c"))
     open_tiles = labelled.groupBy("tile").agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a < b").select("tile")
     rest = store.written(labelled.join(open_tiles, "tile", "left_semi"))
-    left = rest.select("tile", F.col("v").alias("u"), F.col("c").alias("uc"))
-    right = rest.select("tile", "v", F.col("c").alias("vc"))
-    more = left.join(right, "tile").where("u < v and uc <> vc").select("u", "v").distinct().join(tried, ["u", "v"], "left_anti")
-    more = store.written(passing(more))
+    # In a pair at least one document is outside the tile's main component, so a
+    # group of near copies is held against the others of its tile, not against itself.
+    # The bounds are part of the join's condition: only pairs that pass come out of it.
+    main = rest.groupBy("tile", "c").agg(F.count(F.lit(1)).alias("rows")).groupBy("tile").agg(F.max_by("c", F.struct("rows", "c")).alias("main"))
+    left = rest.select("tile", F.col("v").alias("u"), F.col("c").alias("uc")).join(light, "u")
+    right = rest.join(main, "tile").where("c <> main").select("tile", "v", F.col("c").alias("vc"), "main").join(other, "v")
+    apart = (left["tile"] == right["tile"]) & (F.col("uc") != F.col("vc")) & ((F.col("uc") == F.col("main")) | (F.col("u") < F.col("v")))
+    met = left.join(right, apart & may_link(rule.percent))
+    more = met.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct().join(tried, ["u", "v"], "left_anti")
+    more = store.written(more)
     if not more.isEmpty():
         links = links.unionByName(_verified(docs, more, rule))
     return members, links
