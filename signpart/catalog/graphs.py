@@ -523,10 +523,10 @@ def split_merge_report(spark: SparkSession, d: str) -> DataFrame:
     return metrics.split_merge_report(_nation_table(spark, d))
 
 
-@_query("runtime_fit_fixed", "select regr_slope(s / n, ln(n)) as slope, regr_intercept(s / n, ln(n)) as intercept, regr_r2(s / n, ln(n)) as r2 from (values (1000::double, 0.01::double), (10000, 0.13), (100000, 1.7), (1000000, 20.5)) t(n, s)")
+@_query("runtime_fit_fixed", "select round(regr_slope(s / n, ln(n)) * 1e6, 6) as slope_us, round(regr_intercept(s / n, ln(n)) * 1e6, 6) as intercept_us, round(regr_r2(s / n, ln(n)), 9) as r2 from (values (1000::double, 0.01::double), (10000, 0.13), (100000, 1.7), (1000000, 20.5)) t(n, s)")
 def runtime_fit_fixed(spark: SparkSession, d: str) -> DataFrame:
     curve = spark.createDataFrame([(1000, 0.01), (10000, 0.13), (100000, 1.7), (1000000, 20.5)], "n_edges long, seconds double")
-    return metrics.fit_log(curve)
+    return metrics.fit_log(curve).select(F.round(F.col("slope") * 1e6, 6).alias("slope_us"), F.round(F.col("intercept") * 1e6, 6).alias("intercept_us"), F.round("r2", 9).alias("r2"))
 
 
 # ---- rasters

@@ -20,9 +20,10 @@ def lexi_argmin(candidates: DataFrame, levels: list[str]) -> DataFrame:
 
 def lexi_argmin_by_filters(candidates: DataFrame, levels: list[str]) -> DataFrame:
     """The same by one filter after the other."""
+    candidates = tables.written(candidates)
     for level in levels:
         least = candidates.agg(F.min(level).alias("__least"))
-        candidates = candidates.join(F.broadcast(least), F.col(level) == F.col("__least")).drop("__least")  # least is one row
+        candidates = tables.written(candidates.join(F.broadcast(least), F.col(level) == F.col("__least")).drop("__least"))  # least is one row
     return candidates
 
 
