@@ -9,10 +9,9 @@ identical.  A tile is (bands, part, hash of the set's part); all pairs meet in a
 tile.  Spare parts make up for parts that hold no shingle, so that a set need not
 enter the tiles of empty parts, where everything would meet.
 
-In a tile the least document is compared with all others, which joins a group of
-near copies with as many comparisons as it has members.  What that leaves is only
-pairs of a tile whose documents are not in one component yet, with one of them
-outside the component that has most documents of the tile.  A pair's sizes and
+In a tile the document that shares most tiles is compared with all others, which
+joins a group of near copies with as many comparisons as it has members.  What that
+leaves is only pairs of a tile whose documents are not in one component yet.  A pair's sizes and
 the bit counts of its hashed bitmaps bound the overlap from above; the exact
 intersection of the sorted shingle arrays decides what passes the bound.
 
@@ -179,6 +178,12 @@ def _verified(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
     return store.written(both.transform(arrow_map, check, "u long, v long"))
 
 
+def _labelled(in_tile: DataFrame, label: DataFrame) -> DataFrame:
+    """in_tile with c, the component of each document so far."""
+    joined = in_tile.join(label.select(F.col("id").alias("__id"), "component_id"), in_tile["v"] == F.col("__id"), "left")
+    return joined.select(*in_tile.columns, F.coalesce("component_id", "v").alias("c"))
+
+
 def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame, DataFrame]:
     """(members, component links): every document with its class, and links that connect all linked classes.
 
@@ -201,7 +206,10 @@ def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame,
     shared = F.broadcast(shared) if store.small_enough(shared, BROADCAST_TILES) else shared
     in_tile = store.written(tile.join(shared, "tile").distinct().join(classes.select("k1", "class_id"), "k1").select("tile", F.col("class_id").alias("v")))
     store.remove(spark, first)
-    leads = in_tile.groupBy("tile").agg(F.min("v").alias("u"))
+    # A tile's lead is the document that shares most tiles with others: near copies of
+    # one text are closer to that text than to each other.
+    shares = in_tile.join(in_tile.groupBy("tile").agg(F.count(F.lit(1)).alias("k")), "tile").groupBy("v").agg(F.sum("k").alias("met"))
+    in_tile = store.written(in_tile.join(shares, "v"))
 
     light = classes.select(F.col("class_id").alias("u"), "n", *_BITS)
     other = classes.select(F.col("class_id").alias("v"), F.col("n").alias("m"), *(F.col(b).alias(f"c{i}") for i, b in enumerate(_BITS)))
@@ -210,23 +218,31 @@ def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame,
         sized = pairs.join(light, "u").join(other, "v")
         return sized.where(may_link(rule.percent)).select("u", "v")
 
-    tried = store.written(in_tile.join(leads, "tile").where("u < v").select("u", "v").distinct())
+    def stars(rows: DataFrame) -> DataFrame:
+        """Each tile's lead with the tile's other documents."""
+        leads = rows.groupBy("tile").agg(F.max_by("v", F.struct("met", -F.col("v"))).alias("lead"))
+        pairs = rows.join(leads, "tile").where("v <> lead")
+        return pairs.select(F.least("v", "lead").alias("u"), F.greatest("v", "lead").alias("v")).distinct()
+
+    tried = store.written(stars(in_tile))
     links = _verified(docs, store.written(passing(tried)), rule)
 
     # What is left: pairs of one tile in different components.
-    label = components(links)
-    lead = F.coalesce(F.col("component_id"), F.col("v"))
-    labelled = in_tile.join(label, in_tile["v"] == label["id"], "left").select("tile", "v", lead.alias("c"))
+    labelled = store.written(_labelled(in_tile, components(links)).drop("met"))
     open_tiles = labelled.groupBy("tile").agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a < b").select("tile")
     rest = store.written(labelled.join(open_tiles, "tile", "left_semi"))
-    # In a pair at least one document is outside the tile's main component, so a
-    # group of near copies is held against the others of its tile, not against itself.
-    # The bounds are part of the join's condition: only pairs that pass come out of it.
-    main = rest.groupBy("tile", "c").agg(F.count(F.lit(1)).alias("rows")).groupBy("tile").agg(F.max_by("c", F.struct("rows", "c")).alias("main"))
-    left = rest.select("tile", F.col("v").alias("u"), F.col("c").alias("uc")).join(light, "u")
-    right = rest.join(main, "tile").where("c <> main").select("tile", "v", F.col("c").alias("vc"), "main").join(other, "v")
-    apart = (left["tile"] == right["tile"]) & (F.col("uc") != F.col("vc")) & ((F.col("uc") == F.col("main")) | (F.col("u") < F.col("v")))
-    met = left.join(right, apart & may_link(rule.percent))
+    rows = rest.groupBy("tile", "c").agg(F.count(F.lit(1)).alias("rows"))
+    main = rows.groupBy("tile").agg(F.max_by("c", F.struct("rows", "c")).alias("main"), F.max("rows").alias("main_rows"))
+    out = store.written(rest.join(main, "tile").where("c <> main or main_rows = 1"))
+    # Documents outside a tile's main component are held against that component once,
+    # however many tiles they share with it, and against each other in their tiles.
+    # The bounds are part of the joins' conditions: only pairs that pass come out.
+    one = rest.select(F.col("v").alias("u"), F.col("c").alias("uc")).distinct().join(light, "u")
+    to_main = out.where("c <> main and main_rows > 1").select("v", F.col("main").alias("uc")).distinct().join(other, "v")
+    left = out.select("tile", F.col("v").alias("u"), F.col("c").alias("uc")).join(light, "u")
+    right = out.select("tile", "v", F.col("c").alias("vc")).join(other, "v")
+    apart = (left["tile"] == right["tile"]) & (F.col("uc") != F.col("vc")) & (F.col("u") < F.col("v"))
+    met = one.join(to_main, (one["uc"] == to_main["uc"]) & may_link(rule.percent)).select("u", "v").unionByName(left.join(right, apart & may_link(rule.percent)).select("u", "v"))
     more = met.select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct().join(tried, ["u", "v"], "left_anti")
     more = store.written(more)
     if not more.isEmpty():
