@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-import pandas as pd
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from signpart import kernels, tables
 from signpart.functions.expressions import log_odds, pair
 from signpart.operators import components as comp
-from signpart.operators import graph, hierarchy
+from signpart.operators import graph, grouped, hierarchy
 
 
 def log_odds_edges(edges: DataFrame, scale: float = 10000.0, eps: float = 1e-6) -> DataFrame:
@@ -18,8 +18,9 @@ def log_odds_edges(edges: DataFrame, scale: float = 10000.0, eps: float = 1e-6)
     return edges.select("edge_id", "u", "v", cost.alias("w"), "channel").where("w <> 0")
 
 
-def _solve(frame: pd.DataFrame, method: str, rounds: int) -> dict[int, int]:
-    u, v, w = (frame[c].tolist() for c in ("u", "v", "w"))
+def _solve(u, v, w, method: str, rounds: int) -> dict[int, int]:
+    order = np.lexsort((w, v, u))
+    u, v, w = (x[order].tolist() for x in (u, v, w))
     if method in ("gaec", "kl"):
         labels = kernels.contraction(u, v, w)
     elif method == "fixation":
@@ -33,13 +34,8 @@ def _solve(frame: pd.DataFrame, method: str, rounds: int) -> dict[int, int]:
 
 def multicut(edges: DataFrame, by: str | None = None, method: str = "kl", rounds: int = 50) -> DataFrame:
     """(g, v, cluster) of each graph in column ``by`` (a slice, an order …), which must fit a task; without it, one graph."""
-    keyed = edges.select((F.col(by) if by else F.lit(0)).cast("long").alias("g"), "u", "v", "w")
-
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        out = _solve(frame.sort_values(["u", "v", "w"]), method, rounds)
-        return pd.DataFrame({"g": frame["g"].iloc[0], "v": list(out), "cluster": list(out.values())})
-
-    return keyed.groupBy("g").applyInPandas(run, "g long, v long, cluster long")
+    keyed = edges.withColumn("g", (F.col(by) if by else F.lit(0)).cast("long"))
+    return grouped.labels_per_group(keyed, ["u", "v", "w"], lambda u, v, w: _solve(u, v, w, method, rounds))
 
 
 def by_components(edges: DataFrame, method: str = "gaec") -> DataFrame:
@@ -57,15 +53,13 @@ def lifted_multicut(edges: DataFrame, is_local, by: str | None = None, rounds: i
     """
     keyed = edges.select((F.col(by) if by else F.lit(0)).cast("long").alias("g"), "u", "v", "w", is_local.alias("local"))
 
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        frame = frame.sort_values(["u", "v", "w"])
-        u, v, w, local = (frame[c].tolist() for c in ("u", "v", "w", "local"))
-        near = frame[frame["local"]]
-        start = kernels.contraction(near["u"].tolist(), near["v"].tolist(), near["w"].tolist(), vertices=set(u) | set(v))
-        out = kernels.moves(u, v, w, start, local=local, most_rounds=rounds)
-        return pd.DataFrame({"g": frame["g"].iloc[0], "v": list(out), "cluster": list(out.values())})
+    def run(u, v, w, local) -> dict[int, int]:
+        order = np.lexsort((w, v, u))
+        u, v, w, local = (x[order] for x in (u, v, w, local))
+        start = kernels.contraction(u[local], v[local], w[local], vertices=set(u.tolist()) | set(v.tolist()))
+        return kernels.moves(u.tolist(), v.tolist(), w.tolist(), start, local=local.tolist(), most_rounds=rounds)
 
-    return keyed.groupBy("g").applyInPandas(run, "g long, v long, cluster long")
+    return grouped.labels_per_group(keyed, ["u", "v", "w", "local"], run)
 
 
 def multicut_exact(edges: DataFrame, most: int = 9) -> DataFrame:

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from signpart import kernels, schemas, tables
 from signpart.functions.expressions import order_key, pair
 from signpart.operators import components as comp
-from signpart.operators import graph
+from signpart.operators import graph, grouped
 
 #: Edges (with exclusions) that one task takes.
 CAP = 2_000_000
@@ -356,8 +356,5 @@ def probe_cost(edges: DataFrame) -> DataFrame:
 def partition_groups(edges: DataFrame, by: str) -> DataFrame:
     """(g, v, cluster) where each value of ``by`` is a separate graph; a group must fit a task."""
 
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        out = kernels.greedy(frame["u"], frame["v"], frame["w"], frame["edge_id"])
-        return pd.DataFrame({"g": frame["g"].iloc[0], "v": list(out.labels), "cluster": list(out.labels.values())})
-
-    return edges.select(F.col(by).alias("g"), *schemas.EDGES.names).groupBy("g").applyInPandas(run, "g long, v long, cluster long")
+    rows = edges.withColumn("g", F.col(by))
+    return grouped.labels_per_group(rows, ["u", "v", "w", "edge_id"], lambda u, v, w, e: kernels.greedy(u, v, w, e).labels)
