@@ -531,6 +531,11 @@ def runtime_fit_fixed(spark: SparkSession, d: str) -> DataFrame:
 
 # ---- rasters
 
+
+@_query("pattern_table", "select * from (values " + ", ".join(f"({o.channel}, {o.dz}, {o.dy}, {o.dx}, {str(o.attract).lower()}, {o.stride})" for o in raster.pattern("layered", deep=True)) + ") t(channel, dz, dy, dx, attract, stride)")
+def pattern_table(spark: SparkSession, d: str) -> DataFrame:
+    return raster.pattern_table(spark, raster.pattern("layered", deep=True))
+
 _SITES = f"""
 lattice as (select floor(sqrt(max(vec_id)))::bigint + 1 as g from embeddings),
 sites as (select vec_id, vec_id // g as cy, vec_id % g as cx, (vec_id // g) * {workloads.CELL} + floor((embedding[1]::double + 1) / 2 * {workloads.CELL})::bigint as sy,

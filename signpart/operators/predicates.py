@@ -95,6 +95,20 @@ def first_step(edges: DataFrame, initial: DataFrame) -> DataFrame:
     return addable(edges, initial).orderBy(order_key()).limit(1).select(*schemas.EDGES.names)
 
 
+def by_first_steps(edges: DataFrame, initial: DataFrame, steps: int) -> DataFrame:
+    """The active set (edge_id, u, v, w) after adding the first addable edge ``steps`` times: the greedy as a recursion.
+
+    A step is a job over all edges; it is the definition to compare with, for small graphs.
+    """
+    active = tables.written(initial.select("edge_id", "u", "v", "w"))
+    for _ in range(steps):
+        step = tables.written(first_step(edges, active).select("edge_id", "u", "v", "w"))
+        if step.isEmpty():
+            break
+        active = tables.written(active.unionByName(step))
+    return active
+
+
 def certificate(edges: DataFrame, labels: DataFrame) -> DataFrame:
     """(violation, n): what speaks against ``labels`` being the greedy partition; all zero exactly if it is.
 

@@ -2,7 +2,7 @@
 
 import pytest
 
-from signpart import kernels
+from signpart import kernels, tables
 from signpart.operators import components, graph, partition, predicates, seeded
 from tests.conftest import random_edges
 
@@ -83,3 +83,21 @@ def test_string_ids_are_refused(spark):
 
     with pytest.raises(TypeError):
         schemas.require(spark.createDataFrame([("a", "b", 1.0)], "u string, v string, w double"), schemas.EDGES, "a graph")
+
+
+def test_first_steps_rebuild_the_active_set(spark):
+    edges = tables.written(built(spark, [(0, 1, 9.0, 0), (1, 2, -8.0, 1), (0, 2, 7.0, 2), (2, 3, 6.0, 3)]))
+    steps = predicates.by_first_steps(edges, edges.limit(0), 4)
+    active = partition.partition(edges, strategy="kernel").active().where("active = 1")
+    assert {r["edge_id"] for r in steps.collect()} == {r["edge_id"] for r in active.collect()}
+
+
+def test_following_a_stream_of_edges(spark):
+    from signpart.streaming import streams
+
+    edges = built(spark, random_edges(12, 30, 6))
+    growing = streams.GrowingPartition(spark)
+    rows = edges.orderBy("v").collect()
+    for part in (rows[:10], rows[10:20], rows[20:]):  # out of order: earlier edges come late
+        growing.add(spark.createDataFrame(part, edges.schema))
+    assert labels_of(growing.labels()) == reference(edges).labels
