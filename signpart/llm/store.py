@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -25,8 +26,12 @@ def written(df: DataFrame, folder: str | None = None) -> DataFrame:
     """Write to the shared folder and read again: cuts the lineage, and lost executors cost nothing."""
     spark = df.sparkSession
     path = folder or shared_folder(spark)
+    began = time.monotonic()
     df.write.mode("overwrite").parquet(path)
-    spark.sparkContext._jvm.System.gc()  # lets Spark remove the shuffle files of what is written now
+    if time.monotonic() - began > 1.5:
+        # Lets Spark remove the shuffle files of what is written now; its listeners hold the plan for a moment.
+        time.sleep(0.3)
+        spark.sparkContext._jvm.System.gc()
     return spark.read.schema(df.schema).parquet(path)
 
 
