@@ -6,8 +6,9 @@ language, so the AND of the words at an n-gram's positions is the set of all
 languages whose filter holds it.  A document's hits per language, less the hits
 that a filter of that fill would report by chance, decide.
 
-The filters are fitted on at most ``sample`` labelled documents per language, those
-with the least hash of their key; this bound is a parameter.  Prediction reads
+The filters are fitted on about ``sample`` labelled documents per language at most,
+those with the least hashes of their key in each of 64 parts; this bound is a
+parameter.  Prediction reads
 whole texts and nothing else of a row.
 
 Defined cases: a null text and a text without a letter are ``und`` with score 0;
@@ -36,6 +37,7 @@ UNDECIDED = "und"
 SIZES = (3, 4)
 #: Bound of the documents per language that the filters are fitted on.
 SAMPLE = 1500
+_PARTS = 64
 #: N-grams per language and size in a filter, and positions in the table.
 GRAMS, SLOTS_BITS, PROBES = 2500, 16, 2
 
@@ -119,9 +121,12 @@ class Filters:
 def fit(labelled: DataFrame, sample: int = SAMPLE, grams: int = GRAMS) -> Filters | None:
     """Filters from (key, text, lang) rows; None if no row has a label."""
     named = labelled.where("lang is not null and text is not null")
-    order = Window.partitionBy("lang").orderBy("__h", "key")
-    chosen = named.select("key", "lang").withColumn("__h", F.xxhash64("key")).withColumn("__n", F.row_number().over(order)).where(F.col("__n") <= sample).select("key")
-    # At most ``sample`` keys per language.
+    # The least hashes of each of 64 parts: no task ranks all labels of a language.
+    each = -(-sample // _PARTS)
+    order = Window.partitionBy("lang", "__part").orderBy("__h", "key")
+    hashed = named.select("key", "lang", F.xxhash64("key").alias("__h")).withColumn("__part", F.pmod("__h", F.lit(_PARTS)))
+    chosen = hashed.withColumn("__n", F.row_number().over(order)).where(F.col("__n") <= each).select("key")
+    # At most ``sample`` keys per language, rounded up to the parts.
     texts = named.join(F.broadcast(chosen.distinct()), "key", "left_semi").select("lang", "text")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
