@@ -724,7 +724,17 @@ def augment_turn(spark: SparkSession, d: str) -> DataFrame:
     return affinity.augment(workloads.raster_truth(spark, d), shape, swap=True, flip_y=False, flip_x=True).select("pix", "gt")
 
 
-@_query("augment_elastic")
+def _elastic_sql(cell: int = 8, reach: int = 2) -> str:
+    def shift(axis: int) -> str:
+        corner = lambda a, b: f"(({_NOISE.format(u=f'cy + {a}', v=f'cx + {b}', c=axis)}) % {2 * reach + 1} - {reach})"
+        weight = {(0, 0): f"({cell} - fy) * ({cell} - fx)", (0, 1): f"({cell} - fy) * fx", (1, 0): f"fy * ({cell} - fx)", (1, 1): "fy * fx"}
+        total = " + ".join(f"{corner(a, b)} * {w}" for (a, b), w in weight.items())
+        return f"floor(({total} + {cell * cell // 2}) / {cell * cell}.0)::bigint"
+
+    return f"with {_SITES}, base as (select pix, y, x, n, y // {cell} as cy, x // {cell} as cx, y % {cell} as fy, x % {cell} as fx from pixels) select pix, greatest(0, least(n - 1, y + {shift(0)})) * n + greatest(0, least(n - 1, x + {shift(1)})) as source from base"
+
+
+@_query("augment_elastic", _elastic_sql())
 def augment_elastic(spark: SparkSession, d: str) -> DataFrame:
     shape, _ = workloads.raster_shape(spark, d)
     return affinity.elastic(shape.pixels(spark), shape).select("pix", "source")
