@@ -14,7 +14,7 @@ Links are counted and joined per cell, never listed: a task returns the number o
 links of each vector and a spanning forest of the links it saw.  A link that is
 found from both ends counts once, because each member knows which cells it visits
 itself.  Equal vectors are one class with a multiplicity.  Cells with many members
-are cut in tiles.
+or many probes are cut in tiles and slices.
 
 Defined cases: a null or zero vector, and one with null or non-finite components,
 links with nothing; so do vectors of different lengths among each other; rows with
@@ -39,8 +39,8 @@ from signpart.llm.components import components
 #: Bound of the vectors that codebooks and the number of visits are fitted on.
 SAMPLE = 8192
 TARGET_RECALL = 0.995
-#: Vectors wanted in a cell, and members of a tile of a cell.
-PER_CELL, TILE = 24, 2048
+#: Vectors wanted in a cell; members of a tile and probes of a slice of a cell.
+PER_CELL, TILE, SLICE = 24, 256, 256
 MOST_CODES, MOST_VISITS = 1024, 256
 
 
@@ -182,17 +182,23 @@ def _search(classes: DataFrame, length: int, threshold: float, recall: float) ->
 
     placed = store.written(classes.select("class_id", "unit", "copies").transform(arrow_map, place, "class_id long, unit binary, copies long, cells array<long>"))
     own = F.element_at("cells", 1)
-    # As many tiles as a cell's members need; at most MOST_CODES**2 rows.
-    tiles = placed.groupBy(own.alias("cell")).agg(F.ceil(F.count(F.lit(1)) / F.lit(TILE)).cast("int").alias("tiles"))
-    members = placed.withColumn("cell", own).join(tiles, "cell").select("cell", F.pmod(F.xxhash64("class_id"), F.col("tiles")).cast("int").alias("tile"), F.lit(True).alias("member"), "class_id", "unit", "copies", "cells")
-    probes = placed.withColumn("cell", F.explode("cells")).join(tiles, "cell").withColumn("tile", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))).select("cell", "tile", F.lit(False).alias("member"), "class_id", "unit", "copies", F.slice("cells", 1, 1).alias("cells"))
+    # A cell's members are cut in tiles and its probes in slices; each tile meets each
+    # slice in a group of its own.  The table has at most MOST_CODES**2 rows.
+    parts = lambda most: F.ceil(F.count(F.lit(1)) / F.lit(most)).cast("int")
+    by_members = placed.groupBy(own.alias("cell")).agg(parts(TILE).alias("tiles"))
+    by_probes = placed.select(F.explode("cells").alias("cell")).groupBy("cell").agg(parts(SLICE).alias("slices"))
+    grid_parts = store.written(by_members.join(by_probes, "cell"))
+    part_of = lambda n: F.pmod(F.xxhash64("class_id"), F.col(n)).cast("int")
+    each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    members = placed.withColumn("cell", own).join(grid_parts, "cell").withColumn("tile", part_of("tiles")).withColumn("slice", each("slices")).select("cell", "tile", "slice", F.lit(True).alias("member"), "class_id", "unit", "copies", "cells")
+    probes = placed.withColumn("cell", F.explode("cells")).join(grid_parts, "cell").withColumn("slice", part_of("slices")).withColumn("tile", each("tiles")).select("cell", "tile", "slice", F.lit(False).alias("member"), "class_id", "unit", "copies", F.slice("cells", 1, 1).alias("cells"))
 
     def compare(group: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Members come first; then the probes, batch by batch."""
         kept: list[pa.RecordBatch] = []
         m = None
         for batch in group:
-            is_member = batch.column(2).to_numpy(zero_copy_only=False)
+            is_member = batch.column(3).to_numpy(zero_copy_only=False)
             n = int(is_member.sum())
             if n:
                 kept.append(batch.slice(0, n))
@@ -205,9 +211,9 @@ def _search(classes: DataFrame, length: int, threshold: float, recall: float) ->
                 m = np.frombuffer(b"".join(both.column("unit").to_pylist()), dtype="<f8").reshape(-1, length)
                 m_cells = np.asarray(both.column("cells").to_pylist(), dtype=np.int64).reshape(len(m_id), -1)
             probe = batch.slice(n)
-            p_id, p_copies = probe.column(3).to_numpy(), probe.column(5).to_numpy()
-            p = np.frombuffer(b"".join(probe.column(4).to_pylist()), dtype="<f8").reshape(-1, length)
-            p_own = np.asarray(probe.column(6).to_pylist(), dtype=np.int64).ravel()
+            p_id, p_copies = probe.column(4).to_numpy(), probe.column(6).to_numpy()
+            p = np.frombuffer(b"".join(probe.column(5).to_pylist()), dtype="<f8").reshape(-1, length)
+            p_own = np.asarray(probe.column(7).to_pylist(), dtype=np.int64).ravel()
             for a in range(0, len(p), 512):
                 i, j = np.nonzero(p[a : a + 512] @ m.T >= threshold)
                 i = i + a
@@ -228,17 +234,16 @@ def _search(classes: DataFrame, length: int, threshold: float, recall: float) ->
                 )
 
     both = members.unionByName(probes)
-    parts = max(store.shuffle_partitions(spark), 8)
-    dealt = both.repartition(parts, "cell", "tile").sortWithinPartitions("cell", "tile", F.desc("member"))
+    dealt = both.repartition(max(store.shuffle_partitions(spark), 8), "cell", "tile", "slice").sortWithinPartitions("cell", "tile", "slice", F.desc("member"))
 
     def by_tile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Cuts the sorted rows of a partition at the tiles."""
         at, group = None, []
         for batch in batches:
-            cell, tile = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            new = np.flatnonzero(np.concatenate([[True], (cell[1:] != cell[:-1]) | (tile[1:] != tile[:-1])]))
+            keys = np.stack([batch.column(i).to_numpy().astype(np.int64) for i in range(3)])
+            new = np.flatnonzero(np.concatenate([[True], (keys[:, 1:] != keys[:, :-1]).any(axis=0)]))
             for a, b in zip(new, [*new[1:], batch.num_rows]):
-                key = (cell[a], tile[a])
+                key = tuple(keys[:, a])
                 if key != at:
                     yield from compare(iter(group))
                     at, group = key, []
