@@ -79,12 +79,20 @@ def parse(formatted: Column) -> Column:
 
 def loss_spans(formatted: Column, role: str = "assistant") -> Column:
     """(start, length) in code points, from 0, of the texts of a role."""
-    raw = _raw_turns(formatted)
-    ends = F.transform(raw, lambda t: (t["size"] + len(CLOSE)).cast("long"))
-    # The end of turn i is the sum of the first i sizes; a conversation's list of turns is short.
-    at = F.transform(raw, lambda t, i: F.struct(t["role"].alias("role"), F.length(t["text"]).cast("long").alias("length"), F.aggregate(F.slice(ends, F.lit(1), i + 1), F.lit(0).cast("long"), lambda a, b: a + b).alias("end")))
-    mine = F.filter(at, lambda t: _resolved(t["role"]) == role)
-    return F.transform(mine, lambda t: F.struct((t["end"] - len(CLOSE) - t["length"]).alias("start"), t["length"].alias("length")))
+
+    def spans(raw: Column, ends: Column) -> Column:
+        # The end of turn i is the sum of the first i sizes; a conversation's list of turns is short.
+        at = F.transform(raw, lambda t, i: F.struct(t["role"].alias("role"), F.length(t["text"]).cast("long").alias("length"), F.aggregate(F.slice(ends, F.lit(1), i + 1), F.lit(0).cast("long"), lambda a, b: a + b).alias("end")))
+        mine = F.filter(at, lambda t: _resolved(t["role"]) == role)
+        return F.transform(mine, lambda t: F.struct((t["end"] - len(CLOSE) - t["length"]).alias("start"), t["length"].alias("length")))
+
+    sizes = lambda raw: F.transform(raw, lambda t: (t["size"] + len(CLOSE)).cast("long"))
+    return _bound(_raw_turns(formatted), lambda raw: _bound(sizes(raw), lambda ends: spans(raw, ends)))
+
+
+def _bound(value: Column, use) -> Column:
+    """use(value) with the value computed once for a row, however often ``use`` names it."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
 
 
 def format_conversations(turns: DataFrame) -> DataFrame:
@@ -106,8 +114,8 @@ def with_sample(turns: DataFrame) -> DataFrame:
 
 
 def op6_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
-    made = format_conversations(with_sample(store.table(spark, sf_dir, "conversations")))
-    turns = parse(F.col("formatted"))
+    made = format_conversations(with_sample(store.table(spark, sf_dir, "conversations"))).withColumn("turns", parse(F.col("formatted")))
+    turns = F.col("turns")
     listed = F.concat_ws("", F.transform(turns, lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))))
     loss = F.concat_ws("", F.transform("loss_mask", lambda s: _resolved(F.substring(F.col("formatted"), (s["start"] + 1).cast("int"), s["length"].cast("int")))))
     read = made.select("conv_id", F.size(turns).cast("long").alias("n_turns"), listed.alias("listed"), loss.alias("loss"), "formatted")
