@@ -11,7 +11,7 @@ from signpart.functions.expressions import pair
 from signpart.operators.graph import vertices as ends_of
 
 #: Edges up to which one task solves a graph alone.
-SMALL = 200_000
+SMALL = 1_000_000
 
 
 def _rewrite(edges: DataFrame, both: bool) -> DataFrame:

@@ -14,7 +14,7 @@ EDGE_BYTES = 320
 
 def choose(edges: DataFrame, cap: int, warm: bool = False) -> str:
     """kernel if the edges fit one task, else component (which sends components beyond the cap to bands)."""
-    if tables.at_most(edges, cap // 8):
+    if tables.at_most(edges, cap // 2):
         return "kernel"
     return "component"
 
