@@ -5,9 +5,15 @@ a bounded sample; the pairs of codes form a grid of cells.  Every vector is inde
 in the cell of its two nearest codes.  A search visits the cells in the order of
 the summed distances of their codes (multi-sequence order: from the nearest pair,
 the next pair always has a neighbour already visited) and stops after as many
-cells as reach the target recall.  That number is measured: vectors of the sample
-are searched by brute force in the sample, and the number is the least that
-recovers the target share of the links found.
+cells as reach the target recall.  That number is measured on a bounded set of
+queries, which are vectors that the codebooks were not fitted on: each is compared
+with all vectors of the table, and the number is the least at which the mean share
+of a query's links that is found reaches the target, for each size of
+neighbourhood on its own, so that large groups can't hide small ones.  Where too
+few queries of small groups have links, partners planted at the threshold itself
+must be found too.  If the number exceeds a bound, the grid gets fewer, larger
+cells and is measured again; the last grid can be visited as a whole.  A small
+table is one cell, which is exact.
 
 All candidates of a visited cell are verified with the cosine in double precision.
 Links are counted and joined per cell, never listed: a task returns the number of
@@ -24,8 +30,9 @@ the input only vec_id and embedding are read, so labels play no part.
 
 from __future__ import annotations
 
+import logging
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -36,13 +43,20 @@ from signpart.llm import store
 from signpart.llm.arrowmap import arrow_map
 from signpart.llm.components import components
 
-#: Bound of the vectors that codebooks and the number of visits are fitted on.
-SAMPLE = 8192
+#: Bounds of the vectors that codebooks are fitted on, and of those that the number of visits is; queries of a round.
+SAMPLE, QUERIES, ROUND = 8192, 16384, 4096
 TARGET_RECALL = 0.995
+#: Least numbers of links of the sizes of neighbourhoods; in those below SMALL_GROUPS at least SEEN queries are wanted.
+SIZES, SMALL_GROUPS, SEEN = (1, 2, 8, 64), 8, 400
+#: Up to so many vectors are one cell.
+EXACT_ROWS = 2048
 #: Vectors wanted in a cell; members of a tile and probes of a slice of a cell.
 PER_CELL, TILE, SLICE = 24, 256, 256
+#: Beyond MOST_VISITS the grid gets coarser; one of MOST_VISITS cells always suffices.
 MOST_CODES, MOST_VISITS = 1024, 256
 
+_log = logging.getLogger(__name__)
+
 
 def _codebook(points: np.ndarray, codes: int, rounds: int = 12, seed: int = 5) -> np.ndarray:
     """Cluster centres by Lloyd's rounds from distinct points."""
@@ -70,6 +84,8 @@ class Grid:
     first: np.ndarray
     second: np.ndarray
     visits: int
+    #: (least links of a query, queries with so many, recall of their links at ``visits``); 0 links: planted partners.
+    measured: tuple[tuple[int, float, float], ...] = ()
 
     def nearest(self, x: np.ndarray, visits: int | None = None) -> np.ndarray:
         """The cells that a search of each row visits, in order; the first is its own.
@@ -89,23 +105,113 @@ class Grid:
         return np.take_along_axis(o1, picked[:, :, 0], 1) * len(self.second) + np.take_along_axis(o2, picked[:, :, 1], 1)
 
 
-def fit(sample: np.ndarray, rows: int, threshold: float, recall: float = TARGET_RECALL) -> Grid:
-    """Codebooks sized for ``rows`` vectors, and the visits that reach the recall on the sample."""
+def codebooks(sample: np.ndarray, codes: int) -> Grid:
     half = sample.shape[1] // 2
+    return Grid(half, _codebook(sample[:, :half], codes), _codebook(sample[:, half:], codes), 1)
+
+
+def _rank_table(grid: Grid, queries: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted keys (query, cell) of the first ``most`` cells of each query, and their ranks from 1."""
+    cells = np.concatenate([grid.nearest(queries[a : a + 512], most) for a in range(0, len(queries), 512)])
+    keys = (np.arange(len(cells))[:, None] * (len(grid.first) * len(grid.second)) + cells).ravel()
+    order = np.argsort(keys)
+    return keys[order], np.tile(np.arange(1, cells.shape[1] + 1), len(cells))[order]
+
+
+def _ranks(table: tuple[np.ndarray, np.ndarray], keys: np.ndarray, most: int) -> np.ndarray:
+    """The ranks of keys (query, cell); most + 1 for those that are not in the table."""
+    at = np.minimum(np.searchsorted(table[0], keys), len(table[0]) - 1)
+    return np.where(table[0][at] == keys, table[1][at], most + 1)
+
+
+def planted_ranks(grid: Grid, queries: np.ndarray, threshold: float, most: int) -> np.ndarray:
+    """The ranks of the cells of partners at cosine ``threshold``, away from each query at random and towards another query."""
+    rng = np.random.default_rng(11)
+    found = []
+    table = _rank_table(grid, queries, most)
+    for towards in (rng.normal(size=queries.shape), np.roll(queries, 1, axis=0)):
+        side = towards - (towards * queries).sum(1)[:, None] * queries
+        long = np.sqrt((side**2).sum(1))
+        ok = long > 1e-9
+        partner = threshold * queries[ok] + max(0.0, 1 - threshold**2) ** 0.5 * side[ok] / long[ok, None]
+        cell = np.concatenate([grid.nearest(partner[a : a + 512], 1)[:, 0] for a in range(0, len(partner), 512)] or [np.zeros(0, int)])
+        found.append(_ranks(table, np.flatnonzero(ok) * (len(grid.first) * len(grid.second)) + cell, most))
+    return np.concatenate(found)
+
+
+def visits_for(shares: dict[int, np.ndarray], recall: float) -> int:
+    """The least number of visits at which each size of neighbourhood reaches the recall.
+
+    ``shares[size][r]`` is the sum, over the queries of that size, of the shares of
+    a query's links that lie in its r-th cell.  The last entry stands for all cells
+    beyond; the result points there if the target is not reached before.
+    """
+    return max((int(np.argmax(np.cumsum(x) >= recall * x.sum() - 1e-9)) for x in shares.values() if x.sum()), default=1)
+
+
+def _link_shares(classes: DataFrame, grid: Grid, ids: np.ndarray, queries: np.ndarray, threshold: float, most: int) -> dict[int, np.ndarray]:
+    """By size of neighbourhood, what visits_for() takes: each query is compared with all vectors."""
+    spark = classes.sparkSession
+    length, n_cells = queries.shape[1], len(grid.first) * len(grid.second)
+    held = spark.sparkContext.broadcast((grid, ids, queries, _rank_table(grid, queries, most)))
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        grid, ids, queries, table = held.value
+        for batch in batches:
+            x_id = batch.column(0).to_numpy()
+            x = np.frombuffer(b"".join(batch.column(1).to_pylist()), dtype="<f8").reshape(-1, length)
+            for b in range(0, len(x), 1024):
+                part, part_id = x[b : b + 1024], x_id[b : b + 1024]
+                own = grid.nearest(part, 1)[:, 0]
+                for a in range(0, len(queries), 512):
+                    i, j = np.nonzero(queries[a : a + 512] @ part.T >= threshold)
+                    i = i + a
+                    other = ids[i] != part_id[j]
+                    keys, n = np.unique(i[other] * n_cells + own[j[other]], return_counts=True)
+                    if len(keys):
+                        yield pa.RecordBatch.from_arrays([pa.array((keys // n_cells).astype(np.int32)), pa.array(_ranks(table, keys, most).astype(np.int32)), pa.array(n.astype(np.int64))], names=["q", "rank", "n"])
+
+    hits = classes.select("class_id", "unit").transform(arrow_map, compare, "q int, rank int, n long").groupBy("q", "rank").agg(F.sum("n").alias("n"))
+    total = hits.groupBy("q").agg(F.sum("n").alias("total"))
+    size = F.lit(SIZES[0])
+    for least in SIZES[1:]:
+        size = F.when(F.col("total") >= least, least).otherwise(size)
+    rows = hits.join(total, "q").groupBy(size.alias("size"), "rank").agg(F.sum(F.col("n") / F.col("total")).alias("share")).collect()
+    shares = {r["size"]: np.zeros(most + 2) for r in rows}
+    for r in rows:
+        shares[r["size"]][r["rank"]] = r["share"]
+    held.unpersist()
+    return shares
+
+
+def fit(classes: DataFrame, rows: int, threshold: float, recall: float = TARGET_RECALL) -> Grid:
+    """Codebooks sized for ``rows`` vectors of one length, and the visits that reach the recall over the whole table."""
+    trained = min(SAMPLE, rows // 2)
+    picked = classes.orderBy(F.xxhash64("class_id"), "class_id").limit(trained + min(QUERIES, rows - trained)).select("class_id", "unit").collect()
+    vectors = np.stack([np.frombuffer(r["unit"], dtype="<f8") for r in picked])
+    if rows <= EXACT_ROWS or vectors.shape[1] < 2:
+        return codebooks(vectors[:1], 1)
+    sample, queries, ids = vectors[:trained], vectors[trained:], np.asarray([r["class_id"] for r in picked[trained:]])
     codes = int(min(MOST_CODES, max(1, (rows / PER_CELL) ** 0.5), len(sample)))
-    grid = Grid(half, _codebook(sample[:, :half], codes), _codebook(sample[:, half:], codes), 1)
-    most = min(MOST_VISITS, len(grid.first) * len(grid.second))
-    needed = []
-    for a in range(0, len(sample), 512):
-        block = sample[a : a + 512]
-        cells, own = grid.nearest(block, most), grid.nearest(sample, 1)[:, 0]
-        i, j = np.nonzero(block @ sample.T >= threshold)
-        i, j = i[i + a != j], j[i + a != j]
-        hit = cells[i] == own[j][:, None]
-        needed.append(np.where(hit.any(axis=1), hit.argmax(axis=1) + 1, most + 1))
-    ranks = np.sort(np.concatenate(needed)) if needed else np.zeros(0, int)
-    visits = int(ranks[min(len(ranks) - 1, int(np.ceil(recall * len(ranks))) - 1)]) if len(ranks) else 1
-    return Grid(half, grid.first, grid.second, max(4, min(visits, most)) if most >= 4 else most)
+    while True:
+        grid = codebooks(sample, codes)
+        most = min(MOST_VISITS, len(grid.first) * len(grid.second))
+        shares: dict[int, np.ndarray] = {}
+        few = True
+        for a in range(0, len(queries), ROUND):
+            for size, x in _link_shares(classes, grid, ids[a : a + ROUND], queries[a : a + ROUND], threshold, most).items():
+                shares[size] = shares.get(size, 0) + x
+            few = sum(x.sum() for size, x in shares.items() if size < SMALL_GROUPS) < SEEN
+            if not few:
+                break
+        if few:
+            shares[0] = np.bincount(planted_ranks(grid, queries[:ROUND], threshold, most), minlength=most + 2).astype(float)
+        visits = max(visits_for(shares, recall), min(4, most))
+        if visits <= most:
+            measured = tuple((size, float(x.sum()), float(x[: visits + 1].sum() / x.sum())) for size, x in sorted(shares.items()) if x.sum())
+            _log.info("%d vectors, %d x %d cells, %d visits; links, queries, recall: %s", rows, len(grid.first), len(grid.second), visits, measured)
+            return replace(grid, visits=visits, measured=measured)
+        codes = max(1, min(codes, max(len(grid.first), len(grid.second))) // 2)
 
 
 def _unit(batch_col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -167,8 +273,7 @@ def _search(classes: DataFrame, length: int, threshold: float, recall: float) ->
     """(u, v, n): v null: u has n links more; else u and v link. For classes of one vector length."""
     spark = classes.sparkSession
     rows = classes.count()
-    sample = classes.orderBy(F.xxhash64("class_id"), "class_id").limit(SAMPLE).select("unit").collect()
-    grid = fit(np.stack([np.frombuffer(r[0], dtype="<f8") for r in sample]), rows, threshold, recall)
+    grid = fit(classes, rows, threshold, recall)
     held = spark.sparkContext.broadcast(grid)
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -108,6 +108,29 @@ def test_no_vectors(spark):
     assert vector_dedup.near_vectors(spark.createDataFrame([(1, None)], "vec_id long, embedding array<float>")).collect()[0]["n_links"] == 0
 
 
+def pairs_and_cluster(pairs, lone, cluster, width=32, seed=7):
+    """Unit vectors: pairs at cosine 0.952 to 0.97, lone ones, and a cluster of distinct near copies; and the number of pairs."""
+    rng = np.random.default_rng(seed)
+    unit = lambda x: x / np.sqrt((x * x).sum(-1, keepdims=True))
+    a = unit(rng.normal(size=(pairs, width)))
+    side = rng.normal(size=a.shape)
+    side = unit(side - (side * a).sum(1, keepdims=True) * a)
+    cos = rng.uniform(0.952, 0.97, (pairs, 1))
+    b = cos * a + np.sqrt(1 - cos**2) * side
+    near = unit(unit(rng.normal(size=width)) + rng.normal(size=(cluster, width)) * 0.001)
+    return np.concatenate([a, b, unit(rng.normal(size=(lone, width))), near])
+
+
+@pytest.mark.parametrize("pairs, cluster", [(60, 0)], ids=["few links"])
+def test_links_of_pairs_are_found_whatever_else_there_is(spark, monkeypatch, pairs, cluster):
+    monkeypatch.setattr(vector_dedup, "SAMPLE", 512)
+    vectors = pairs_and_cluster(pairs, 4500 - 2 * pairs, cluster)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(vectors)], "vec_id long, embedding array<double>")
+    n = {r["vec_id"]: r["n_links"] for r in vector_dedup.near_vectors(df).collect()}
+    assert sum(n[i] >= 1 for i in range(2 * pairs)) >= 0.99 * 2 * pairs
+    assert all(n[i] == cluster - 1 for i in range(4500, 4500 + cluster))
+
+
 # ---- mixing
 
 
