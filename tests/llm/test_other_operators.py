@@ -121,7 +121,7 @@ def pairs_and_cluster(pairs, lone, cluster, width=32, seed=7):
     return np.concatenate([a, b, unit(rng.normal(size=(lone, width))), near])
 
 
-@pytest.mark.parametrize("pairs, cluster", [(60, 0)], ids=["few links"])
+@pytest.mark.parametrize("pairs, cluster", [(60, 0), (300, 1500)], ids=["few links", "a cluster beside pairs"])
 def test_links_of_pairs_are_found_whatever_else_there_is(spark, monkeypatch, pairs, cluster):
     monkeypatch.setattr(vector_dedup, "SAMPLE", 512)
     vectors = pairs_and_cluster(pairs, 4500 - 2 * pairs, cluster)
@@ -131,6 +131,21 @@ def test_links_of_pairs_are_found_whatever_else_there_is(spark, monkeypatch, pai
     assert all(n[i] == cluster - 1 for i in range(4500, 4500 + cluster))
 
 
+def test_visits_are_the_most_that_any_group_size_needs():
+    shares = {64: np.asarray([0, 1000.0, 0, 0, 0]), 1: np.asarray([0, 5.0, 0, 5.0, 0])}
+    assert vector_dedup.visits_for(shares, 0.995) == 3
+    assert vector_dedup.visits_for({1: np.asarray([0, 9.0, 0, 0, 1.0])}, 0.995) == 4
+
+
+def test_a_bound_on_visits_makes_cells_larger_instead(spark, monkeypatch):
+    monkeypatch.setattr(vector_dedup, "MOST_VISITS", 4)
+    monkeypatch.setattr(vector_dedup, "SAMPLE", 512)
+    vectors = pairs_and_cluster(150, 2200, 0)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(vectors)], "vec_id long, embedding array<double>")
+    n = {r["vec_id"]: r["n_links"] for r in vector_dedup.near_vectors(df).collect()}
+    assert sum(n[i] >= 1 for i in range(300)) >= 297
+
+
 # ---- mixing
 
 
