@@ -8,10 +8,12 @@ partition adds up its table and answers every block with the totals in the order
 asked, and the block looks its n-grams up there and sums per document.  The join
 is the same, on (partition, hash), with one row for each block and partition.
 
-A bigram seen at least ``least`` times scores count / count of its first word;
-any other backs off to ``backoff`` times the share of its second word.  A
-document's first word scores its share.  ``log_score`` is the sum of natural
-logarithms, ``score`` its mean per word.
+A word is scored by the n-gram of ``order`` words that it ends: if that was seen at
+least ``least`` times, the score is its count / the count of its words before the
+last; else ``backoff`` times the score by the n-gram that is one word shorter, down
+to the word's share.  The first words of a document have shorter n-grams, at no
+cost.  ``n_backoff`` counts the steps of backing off, ``log_score`` is the sum of
+natural logarithms, ``score`` its mean per word.
 
 Defined cases: a null or empty text has no words and null scores; repeated rows
 are counted as often as they stand; a null doc_id is carried through; an empty
@@ -66,31 +68,31 @@ def _from_numbers(data: bytes) -> np.ndarray:
     return np.frombuffer(zlib.decompress(data[:-1]), "<u8" if data[-1:] == b"8" else "<u4").astype(np.int64)
 
 
-def _hashes(col: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(word hashes, bigram hashes, first word of each row); bigram i is words i and i+1, also over the ends of rows."""
-    words, grams, first = [], [], [np.zeros(1, np.int64)]
+def _hashes(col: pa.Array, order: int) -> tuple[list[np.ndarray], np.ndarray]:
+    """(hashes of the n-grams by n - 1, first word of each row); n-gram i starts at word i, also if it runs over the end of its row."""
+    grams: list[list[np.ndarray]] = [[np.zeros(0, np.uint64)] for _ in range(order)]
+    first = [np.zeros(1, np.int64)]
     for _, _, data, offsets in hashing.chunks(col):
         start, end, f = hashing.word_spans(data, offsets)
         w = hashing.span_hashes(data, start, end)
-        at = np.arange(max(0, len(w) - 1))
-        g = hashing.run_hashes(w, at, at + 2) if len(at) else np.zeros(0, np.uint64)
-        words.append(w)
-        grams.append(np.append(g, np.zeros(len(w) - len(g), np.uint64)))
+        grams[0].append(w)
+        for n in range(2, order + 1):
+            at = np.arange(max(0, len(w) - n + 1))
+            g = hashing.run_hashes(w, at, at + n) if len(at) else np.zeros(0, np.uint64)
+            grams[n - 1].append(np.append(g, np.zeros(len(w) - len(g), np.uint64)))
         first.append(first[-1][-1] + f[1:])
-    none = np.zeros(0, np.uint64)
-    return np.concatenate([none, *words]), np.concatenate([none, *grams]), np.concatenate(first)
+    return [np.concatenate(g) for g in grams], np.concatenate(first)
 
 
-def _inner(n: int, first: np.ndarray) -> np.ndarray:
-    """Whether a bigram starts and ends in one row."""
-    ok = np.ones(n, dtype=bool)
-    ends = first[1:][first[1:] > 0] - 1
-    ok[ends] = False
-    return ok
+def _inner(first: np.ndarray, n: int) -> np.ndarray:
+    """Whether the n-gram that starts at each word ends in the same row."""
+    return np.arange(first[-1]) + n <= np.repeat(first[1:], np.diff(first))
 
 
-def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF) -> DataFrame:
-    """(doc_id, n_words, n_backoff, log_score, score) of every document."""
+def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF, order: int = 2) -> DataFrame:
+    """(doc_id, n_words, n_backoff, log_score, score) of every document, by n-grams of up to ``order`` words."""
+    if order < 1:
+        raise ValueError(f"order {order} is less than one word")
     plain = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -111,10 +113,10 @@ def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF) ->
     def ask(table: pa.Table) -> pa.Table:
         col = table.column("text").combine_chunks()
         block = table.column("block")[0].as_py()
-        w, g, first = _hashes(col)
+        grams, first = _hashes(col, order)
         rows: list[tuple] = []
-        for kind, keys in ((1, w), (2, g[_inner(len(g), first)])):
-            found, n = np.unique(keys, return_counts=True)
+        for kind, keys in enumerate(grams, 1):
+            found, n = np.unique(keys[_inner(first, kind)], return_counts=True)
             where = (found // width).astype(np.int64) if parts > 1 else np.zeros(len(found), np.int64)
             cuts = np.searchsorted(where, np.arange(parts + 1))
             rows += [(block, kind, p, _packed(found[a:b]), _numbers(n[a:b])) for p, (a, b) in enumerate(zip(cuts, cuts[1:])) if b > a]
@@ -132,30 +134,29 @@ def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF) ->
         return pa.table([table.column("block"), table.column("kind"), table.column("part"), pa.array(totals, pa.binary())], names=["block", "kind", "part", "totals"])
 
     def score(texts: pa.Table, answers: pa.Table) -> pa.Table:
-        held: dict[int, list] = {1: [], 2: []}
+        held: dict[int, list] = {kind: [] for kind in range(1, order + 1)}
         for r in sorted(answers.select(["kind", "part", "totals"]).to_pylist(), key=lambda r: r["part"]):
             held[r["kind"]].append(_from_numbers(r["totals"]))
-        w, g, first = _hashes(texts.column("text").combine_chunks())
-        ok = _inner(len(g), first)
-        c1, c2 = np.zeros(len(w)), np.zeros(len(w))
-        if len(w):
-            c1 = np.concatenate(held[1])[np.unique(w, return_inverse=True)[1]].astype(float)
-        if ok.any():
-            c2[ok] = np.concatenate(held[2])[np.unique(g[ok], return_inverse=True)[1]]
-        alone = c1 / max(words, 1)
-        value, back = np.empty(len(w)), np.zeros(len(w), dtype=bool)
-        if len(w):
-            value[0] = alone[0]
-            # Entry i of c2 is the bigram of words i and i+1, that is the one that ends at word i+1.
-            seen = ok[:-1] & (c2[:-1] >= least)
-            value[1:] = np.where(seen, c2[:-1] / c1[:-1], backoff * alone[1:])
-            back[1:] = ok[:-1] & ~seen
-            starts = first[:-1][np.diff(first) > 0]
-            value[starts] = alone[starts]
+        grams, first = _hashes(texts.column("text").combine_chunks(), order)
+        value, back, shorter = np.zeros(0), np.zeros(first[-1], dtype=np.int64), np.zeros(0)
+        for kind, keys in enumerate(grams, 1):
+            ok = _inner(first, kind)
+            count = np.zeros(len(keys))
+            if ok.any():
+                count[ok] = np.concatenate(held[kind])[np.unique(keys[ok], return_inverse=True)[1]]
+            if kind == 1:
+                value = count / max(words, 1)
+            else:
+                # An n-gram scores its last word, against the count of the shorter one that starts with it.
+                at = np.flatnonzero(ok)
+                last, seen = at + kind - 1, count[at] >= least
+                value[last] = np.where(seen, count[at] / shorter[at], backoff * value[last])
+                back[last] = np.where(seen, 0, back[last] + 1)
+            shorter = count
         logs = np.concatenate([[0.0], np.cumsum(np.log(value))])
         backs = np.concatenate([[0], np.cumsum(back)])
         n = np.diff(first)
-        sums = np.asarray([np.log(value[a:b]).sum() for a, b in zip(first, first[1:])]) if len(w) else logs[first[1:]] - logs[first[:-1]]
+        sums = np.asarray([np.log(value[a:b]).sum() for a, b in zip(first, first[1:])]) if len(value) else logs[first[1:]] - logs[first[:-1]]
         none = n == 0
         return pa.table(
             [texts.column("doc_id"), pa.array(n), pa.array(backs[first[1:]] - backs[first[:-1]]), pa.array(sums, mask=none), pa.array(sums / np.maximum(n, 1), mask=none)],

@@ -202,6 +202,29 @@ def test_stupid_backoff(spark):
         assert (found[i]["score"] is None) if not w else math.isclose(found[i]["score"], sum(logs) / len(w), rel_tol=1e-9)
 
 
+@pytest.mark.parametrize("order", [1, 3, 5])
+def test_stupid_backoff_of_any_order(spark, order):
+    rnd = random.Random(4)
+    rows = [(i, " ".join(rnd.choice("abc") for _ in range(rnd.randint(0, 30)))) for i in range(25)] + [(100 + i, t) for i, t in enumerate(ODD)]
+    words = {i: WORD.findall(t or "") for i, t in rows}
+    seen = Counter(tuple(w[k : k + n]) for w in words.values() for n in range(1, order + 1) for k in range(len(w) - n + 1))
+    total = sum(len(w) for w in words.values())
+
+    def scored(gram):
+        if len(gram) == 1:
+            return seen[gram] / total, 0
+        if seen[gram] >= 2:
+            return seen[gram] / seen[gram[:-1]], 0
+        s, steps = scored(gram[1:])
+        return 0.4 * s, steps + 1
+
+    for r in lm_score.lm_scores(frame(spark, rows), order=order).collect():
+        w = words[r["doc_id"]]
+        each = [scored(tuple(w[max(0, k + 1 - order) : k + 1])) for k in range(len(w))]
+        assert (r["n_words"], r["n_backoff"]) == (len(w), sum(b for _, b in each))
+        assert (r["score"] is None) if not w else math.isclose(r["score"], sum(math.log(s) for s, _ in each) / len(w), rel_tol=1e-9)
+
+
 def test_packed_keys_round_trip():
     import numpy as np
 
