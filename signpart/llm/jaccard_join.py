@@ -9,6 +9,10 @@ identical.  A tile is (bands, part, hash of the set's part); all pairs meet in a
 tile.  Spare parts make up for parts that hold no shingle, so that a set need not
 enter the tiles of empty parts, where everything would meet.
 
+Most tiles hold one class only.  To find the others, each task sends its tiles
+packed: sorted 48-bit hashes as deltas with two-byte places, about six bytes a tile
+instead of a row.  What meets there by chance only costs a comparison.
+
 In a tile the document that shares most tiles is compared with all others, which
 joins a group of near copies with as many comparisons as it has members.  What that
 leaves is only pairs of a tile whose documents are not in one component yet.  A pair's sizes and
@@ -18,8 +22,9 @@ intersection of the sorted shingle arrays decides what passes the bound.
 Defined cases: a null text and a text without words have the empty set and link
 with nothing; fewer words than a shingle are one shingle; equal texts link; rows
 with equal doc_id are one document with the first text in order if their texts
-differ; a null doc_id forms no link and its component is null; an empty table
-gives an empty result; only ``doc_id`` and ``text`` of the input are read.
+differ, and each of them has its row in the result; a null doc_id forms no link
+and its component is null; an empty table gives an empty result; only ``doc_id``
+and ``text`` of the input are read.
 """
 
 from __future__ import annotations
@@ -28,18 +33,21 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from signpart.llm import hashing, store
+from signpart.llm import hashing, packed_keys, store
 from signpart.llm.arrowmap import arrow_map
 from signpart.llm.components import components
 
 BITMAP_WORDS = 8
-#: Tiles shared by several classes: sent to every executor up to here, joined beyond.
-BROADCAST_TILES = 2_000_000
-#: Ids of documents whose texts are compared: sent to every executor up to here, joined beyond.
-BROADCAST_IDS = 2_000_000
+#: Bits of a tile's hash that are sent, and tiles (with their places) that a task packs or unpacks at once.
+TILE_BITS, BLOCK_TILES, PART_TILES = 48, 1 << 20, 4 << 20
+#: Documents in a block at most, as places have two bytes.
+BLOCK_DOCS = 1 << 16
+#: Bytes of ids that are sent to every executor at most; more are joined.
+BROADCAST_BYTES = store.BROADCAST_BYTES
 
 _BITS = [f"b{i}" for i in range(BITMAP_WORDS)]
 
@@ -112,29 +120,96 @@ def _bitmap(found: np.ndarray) -> np.ndarray:
 
 
 def signatures(docs: DataFrame, rule: Rule) -> DataFrame:
-    """(doc_id, n, k1, k2, b0 …, tiles): set size, 128-bit hash of the set, bitmap and tile hashes."""
+    """(doc_id, n, k1, k2, n_tiles, b0 …): set size, 128-bit hash of the set, most tiles it can have, and bitmap."""
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for a, b, data, offsets in hashing.chunks(batch.column(1)):
-                n, k1, k2, bits, tiles = [], [], [], [], []
+                n, k1, k2, most, bits = [], [], [], [], []
                 for found in rule.sets(data, offsets):
                     n.append(len(found))
                     k1.append(np.sum(hashing.mix(found)))
                     k2.append(np.bitwise_xor.reduce(hashing.mix(found ^ np.uint64(0xA5A5A5A55A5A5A5A))) if len(found) else np.uint64(0))
                     bits.append(_bitmap(found))
-                    tiles.append(rule.tiles(found))
-                ends = np.concatenate([[0], np.cumsum([len(t) for t in tiles])]).astype(np.int32)
-                flat = hashing.signed(np.concatenate(tiles)) if tiles else np.zeros(0, np.int64)
+                    most.append(sum(rule.parts(rule.band(len(found)) + up)[0] for up in (0, 1)) if len(found) else 0)
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column(0).slice(a, b - a).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(hashing.signed(np.asarray(k1, np.uint64))), pa.array(hashing.signed(np.asarray(k2, np.uint64))),
-                        *(pa.array(column) for column in np.ascontiguousarray(np.stack(bits).T)), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat)),
+                        pa.array(most, pa.int64()), *(pa.array(column) for column in np.ascontiguousarray(np.stack(bits).T)),
                     ],
-                    names=["doc_id", "n", "k1", "k2", *_BITS, "tiles"],
+                    names=["doc_id", "n", "k1", "k2", "n_tiles", *_BITS],
                 )
 
-    return docs.select("doc_id", "text").transform(arrow_map, make, f"doc_id long, n long, k1 long, k2 long, {', '.join(f'{b} long' for b in _BITS)}, tiles array<long>")
+    return docs.select("doc_id", "text").transform(arrow_map, make, f"doc_id long, n long, k1 long, k2 long, n_tiles long, {', '.join(f'{b} long' for b in _BITS)}")
+
+
+def _runs(order: np.ndarray) -> np.ndarray:
+    """Where runs of equal values start in a sorted array."""
+    return np.flatnonzero(np.concatenate([[True], order[1:] != order[:-1]]))
+
+
+def shared_tiles(docs: DataFrame, rule: Rule, n_tiles: int) -> DataFrame:
+    """(tile, v): the tiles that several documents of ``docs`` have, with those documents; equal sets should be one row.
+
+    A task deals its documents into blocks, sorts a block's tiles and sends each
+    hash range as one row of packed hashes and places of documents in the block.
+    The ids of a block travel as a row of their own and pass through.  ``n_tiles``
+    is the number of tiles, for choosing the number of hash ranges.
+    """
+    parts = max(store.shuffle_partitions(docs.sparkSession), -(-n_tiles // PART_TILES))
+    bounds = np.asarray([(p << TILE_BITS) // parts for p in range(1, parts)], dtype=np.uint64)
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        task, ids, found, size, block = TaskContext.get().partitionId(), [], [], 0, 0
+
+        def out() -> pa.RecordBatch:
+            nonlocal size, block
+            number = (task << 24) + block
+            counts = [len(t) for t in found]
+            keys = np.concatenate(found) >> np.uint64(64 - TILE_BITS)
+            order = np.argsort(keys, kind="stable")
+            keys, place = keys[order], np.repeat(np.arange(len(ids), dtype="<u2"), counts)[order]
+            cuts = np.concatenate([[0], np.searchsorted(keys, bounds), [len(keys)]])
+            rows = [(p, number, packed_keys.packed(keys[a:b]), place[a:b].tobytes(), None) for p, (a, b) in enumerate(zip(cuts, cuts[1:])) if b > a]
+            rows.append((-1 - number % parts, number, None, None, list(ids)))
+            ids.clear()
+            found.clear()
+            size, block = 0, block + 1
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.int64())))], names=["part", "block", "keys", "places", "ids"])
+
+        for batch in batches:
+            known = batch.column(0).to_pylist()
+            for a, _, data, offsets in hashing.chunks(batch.column(1)):
+                for i, one in enumerate(rule.sets(data, offsets), a):
+                    tiles = rule.tiles(one)
+                    if len(tiles) and known[i] is not None:
+                        if size + len(tiles) > BLOCK_TILES and size or len(ids) == BLOCK_DOCS:
+                            yield out()
+                        ids.append(known[i])
+                        found.append(tiles)
+                        size += len(tiles)
+        if ids:
+            yield out()
+
+    def match(table: pa.Table) -> pa.Table:
+        names, types = ["tile", "block", "place", "ids"], (pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int64()))
+        if table.column("part")[0].as_py() < 0:
+            n = table.num_rows
+            return pa.table([pa.nulls(n, pa.int64()), table.column("block"), pa.nulls(n, pa.int32()), table.column("ids")], names=names)
+        keys = [packed_keys.unpacked(x) for x in table.column("keys").to_pylist()]
+        block = np.repeat(np.asarray(table.column("block")), [len(k) for k in keys])
+        place = np.frombuffer(b"".join(table.column("places").to_pylist()), "<u2")
+        key = np.concatenate(keys)
+        order = np.argsort(key, kind="stable")
+        head = _runs(key[order])
+        size = np.diff(np.append(head, len(order)))
+        several = order[np.repeat(size > 1, size)]
+        return pa.table([pa.array(c, t) for c, t in zip((hashing.signed(key[several]), block[several], place[several]), types)] + [pa.nulls(len(several), types[3])], names=names)
+
+    sent = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").transform(arrow_map, deal, "part int, block long, keys binary, places binary, ids array<long>")
+    held = store.written(sent.groupBy("part").applyInArrow(match, "tile long, block long, place int, ids array<long>"))
+    ids = held.where("ids is not null").select("block", F.posexplode("ids").alias("place", "v"))
+    return held.where("ids is null").join(ids, ["block", "place"]).select("tile", "v").distinct()
 
 
 def may_link(percent: int) -> Column:
@@ -152,8 +227,7 @@ def may_link(percent: int) -> Column:
 
 def _verified(docs: DataFrame, pairs: DataFrame, rule: Rule) -> DataFrame:
     """The pairs (u, v) that link, by the exact intersection of the sorted shingles of both texts."""
-    ids = store.written(pairs.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct())
-    ids = F.broadcast(ids) if store.small_enough(ids, BROADCAST_IDS) else ids
+    ids = store.broadcast_if_small(store.written(pairs.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct()), most=BROADCAST_BYTES)
     texts = store.written(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text")))
     with_v = pairs.join(texts.select(F.col("doc_id").alias("v"), F.col("text").alias("v_text")), "v")
     both = with_v.join(texts.select(F.col("doc_id").alias("u"), F.col("text").alias("u_text")), "u").select("u", "v", "u_text", "v_text")
@@ -190,22 +264,25 @@ def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame,
     members has doc_id, n_shingles and class_id, the least doc_id with that set.
     """
     rule = rule or Rule()
-    spark = docs.sparkSession
-    first = store.shared_folder(spark)
-    made = store.written(signatures(docs, rule), first)
-    usable = made.where("n > 0 and doc_id is not null")
-    classes = store.written(usable.groupBy("k1").agg(F.min("doc_id").alias("class_id"), F.min("n").alias("n"), F.min("k2").alias("k2"), F.max("k2").alias("k2_most"), *(F.min(b).alias(b) for b in _BITS)))
-    if not classes.where("k2 <> k2_most").isEmpty():
-        raise RuntimeError("two shingle sets have one 64-bit hash")
-    members = made.select("doc_id", "n", "k1").join(classes.select(F.col("k1").alias("__k"), "class_id"), (F.col("k1") == F.col("__k")) & (F.col("n") > 0), "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("class_id", "doc_id")).alias("class_id"))
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    made = store.written(signatures(docs, rule))
+    differing = store.written(made.where("doc_id is not null").groupBy("doc_id").agg(F.min("k1").alias("a"), F.max("k1").alias("b")).where("a <> b").select("doc_id"))
+    if not differing.isEmpty():
+        differing = store.broadcast_if_small(differing, most=BROADCAST_BYTES)
+        first = docs.join(differing, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text"))
+        docs = store.written(docs.join(differing, "doc_id", "left_anti").unionByName(docs.join(differing, "doc_id", "left_semi").select("doc_id").join(first, "doc_id")))
+        made = store.written(signatures(docs, rule))
+    classes = made.where("n > 0 and doc_id is not null").groupBy("k1", "k2").agg(F.min("doc_id").alias("class_id")).select(F.col("k1").alias("__k1"), F.col("k2").alias("__k2"), "class_id")
+    same_set = (F.col("k1") == F.col("__k1")) & (F.col("k2") == F.col("__k2")) & (F.col("n") > 0)
+    members = made.join(classes, same_set, "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("class_id", "doc_id")).alias("class_id"))
     members = store.written(members)
 
-    # Only tiles of several classes go on; each class is named by its set's hash until then.
-    tile = usable.select("k1", F.explode("tiles").alias("tile"))
-    shared = store.written(tile.groupBy("tile").agg(F.min("k1").alias("a"), F.max("k1").alias("b")).where("a < b").select("tile"))
-    shared = F.broadcast(shared) if store.small_enough(shared, BROADCAST_TILES) else shared
-    in_tile = store.written(tile.join(shared, "tile").distinct().join(classes.select("k1", "class_id"), "k1").select("tile", F.col("class_id").alias("v")))
-    store.remove(spark, first)
+    # Only one document of each class goes on, and only tiles of several classes.
+    extra = store.written(members.where("doc_id <> class_id or n_shingles = 0").select("doc_id").distinct())
+    heads = docs.where("doc_id is not null").join(store.broadcast_if_small(extra, most=BROADCAST_BYTES), "doc_id", "left_anti")
+    in_tile = store.written(shared_tiles(heads, rule, made.agg(F.sum("n_tiles")).first()[0] or 0))
+    classes = made.join(in_tile.select(F.col("v").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    classes = store.written(classes.select(F.col("doc_id").alias("class_id"), "n", *_BITS))
     # A tile's lead is the document that shares most tiles with others: near copies of
     # one text are closer to that text than to each other.
     shares = in_tile.join(in_tile.groupBy("tile").agg(F.count(F.lit(1)).alias("k")), "tile").groupBy("v").agg(F.sum("k").alias("met"))

@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from signpart.llm import hashing, store
+from signpart.llm import hashing, packed_keys, store
 from signpart.llm.arrowmap import arrow_map
 
 #: Bytes of text in a block, and distinct n-grams of a hash partition, about.
@@ -41,25 +41,6 @@ _ASKED = "block int, kind int, part int, grams binary, counts binary"
 _ANSWER = "block int, kind int, part int, totals binary"
 
 
-def _packed(sorted_keys: np.ndarray) -> bytes:
-    """Sorted 64-bit keys as deltas: four low bytes, two middle ones, and the rest for the few that need it."""
-    delta = np.diff(sorted_keys, prepend=np.uint64(0))
-    high = (delta >> np.uint64(48)).astype("<u2")
-    at = np.flatnonzero(high).astype("<u4")
-    head = np.asarray([len(delta), len(at)], dtype="<u4")
-    return b"".join(x.tobytes() for x in (head, delta.astype("<u4"), (delta >> np.uint64(32)).astype("<u2"), at, high[at]))
-
-
-def _unpacked(data: bytes) -> np.ndarray:
-    n, k = np.frombuffer(data, "<u4", 2)
-    low = np.frombuffer(data, "<u4", n, 8).astype(np.uint64)
-    middle = np.frombuffer(data, "<u2", n, 8 + 4 * n).astype(np.uint64)
-    at = np.frombuffer(data, "<u4", k, 8 + 6 * n)
-    delta = low | middle << np.uint64(32)
-    delta[at] |= np.frombuffer(data, "<u2", k, 8 + 6 * n + 4 * k).astype(np.uint64) << np.uint64(48)
-    return np.cumsum(delta, dtype=np.uint64)
-
-
 def _numbers(values: np.ndarray) -> bytes:
     return zlib.compress(values.astype("<u8" if len(values) and values.max() >= 1 << 32 else "<u4").tobytes(), 1) + (b"8" if len(values) and values.max() >= 1 << 32 else b"4")
 
@@ -119,11 +100,11 @@ def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF, ord
             found, n = np.unique(keys[_inner(first, kind)], return_counts=True)
             where = (found // width).astype(np.int64) if parts > 1 else np.zeros(len(found), np.int64)
             cuts = np.searchsorted(where, np.arange(parts + 1))
-            rows += [(block, kind, p, _packed(found[a:b]), _numbers(n[a:b])) for p, (a, b) in enumerate(zip(cuts, cuts[1:])) if b > a]
+            rows += [(block, kind, p, packed_keys.packed(found[a:b]), _numbers(n[a:b])) for p, (a, b) in enumerate(zip(cuts, cuts[1:])) if b > a]
         return pa.table([pa.array(c, t) for c, t in zip(zip(*rows) if rows else ((),) * 5, (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary()))], names=["block", "kind", "part", "grams", "counts"])
 
     def answer(table: pa.Table) -> pa.Table:
-        grams = [_unpacked(x) for x in table.column("grams").to_pylist()]
+        grams = [packed_keys.unpacked(x) for x in table.column("grams").to_pylist()]
         keys = np.concatenate(grams)
         counts = np.concatenate([_from_numbers(x) for x in table.column("counts").to_pylist()])
         order = np.argsort(keys, kind="stable")

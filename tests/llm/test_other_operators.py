@@ -59,8 +59,7 @@ def test_jaccard_groups_equal_brute_force(spark, words, percent):
 
 def test_large_group_without_broadcasts(spark, monkeypatch):
     """A group of near copies, all sizes above the broadcast bounds."""
-    monkeypatch.setattr(jaccard_join, "BROADCAST_TILES", 0)
-    monkeypatch.setattr(jaccard_join, "BROADCAST_IDS", 0)
+    monkeypatch.setattr(jaccard_join, "BROADCAST_BYTES", 0)
     base = [f"w{i}" for i in range(120)]
     rows = [(i, " ".join(base[:i] + [f"x{i}"] + base[i + 1 :])) for i in range(60)]
     found = {r["component_id"] for r in jaccard_join.jaccard_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
@@ -74,6 +73,30 @@ def test_jaccard_of_nothing_and_null_ids(spark):
     assert found == [(2, 1, 2), (4, 1, 2), (None, 1, None)]
 
 
+def test_jaccard_of_repeated_rows(spark):
+    """Equal rows stay rows; of different texts with one doc_id the first in order counts for all its rows."""
+    rows = [(3, "a b c d"), (3, "a b c d"), (7, "z z z z"), (7, "a b c d"), (8, "z z z z"), (5, "q r")]
+    found = sorted(map(tuple, jaccard_join.jaccard_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()))
+    assert found == [(3, 2, 3), (3, 2, 3), (5, 1, 5), (7, 2, 3), (7, 2, 3), (8, 1, 8)]
+
+
+def test_tiles_of_many_small_blocks(spark, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "BLOCK_TILES", 40)
+    monkeypatch.setattr(jaccard_join, "PART_TILES", 50)
+    rule = jaccard_join.Rule(3, 90)
+    texts = [" ".join(f"w{(i // 3) * 50 + k}" for k in range(30 + i % 3)) for i in range(60)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    want = {}
+    for i, text in enumerate(texts):
+        data = np.frombuffer(text.encode(), np.uint8)
+        for tile in rule.tiles(next(rule.sets(data, np.asarray([0, len(data)])))):
+            want.setdefault(int(tile >> np.uint64(16)), set()).add(i)
+    got = {}
+    for row in jaccard_join.shared_tiles(df, rule, 2000).collect():
+        got.setdefault(row["tile"], set()).add(row["v"])
+    assert got == {t: ids for t, ids in want.items() if len(ids) > 1}
+
+
 def test_components_of_a_long_chain(spark):
     rows = [(i, i + 1) for i in range(200)] + [(500, 501), (501, 500)]
     got = {r["id"]: r["component_id"] for r in components.components(spark.createDataFrame(rows, "u long, v long")).collect()}

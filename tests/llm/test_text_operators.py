@@ -8,7 +8,7 @@ from collections import Counter
 
 import pytest
 
-from signpart.llm import language_id, line_dedup, lm_score, order_minhash, substring_dedup
+from signpart.llm import language_id, line_dedup, lm_score, order_minhash, packed_keys, substring_dedup
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 #: Fixed texts: null, empty, white space, ties, repeats, other scripts.
@@ -229,5 +229,5 @@ def test_packed_keys_round_trip():
     import numpy as np
 
     keys = np.unique(np.random.default_rng(3).integers(0, 2**64 - 1, 5000, dtype=np.uint64))
-    assert (lm_score._unpacked(lm_score._packed(keys)) == keys).all()
-    assert len(lm_score._unpacked(lm_score._packed(keys[:0]))) == 0
+    assert (packed_keys.unpacked(packed_keys.packed(keys)) == keys).all()
+    assert len(packed_keys.unpacked(packed_keys.packed(keys[:0]))) == 0
