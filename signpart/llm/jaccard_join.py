@@ -36,6 +36,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from signpart.llm import hashing, packed_keys, store
 from signpart.llm.arrowmap import arrow_map
@@ -44,8 +45,8 @@ from signpart.llm.components import components
 BITMAP_WORDS = 8
 #: Bits of a tile's hash that are sent, and tiles (with their places) that a task packs or unpacks at once.
 TILE_BITS, BLOCK_TILES, PART_TILES = 48, 1 << 20, 4 << 20
-#: Documents in a block at most, as places have two bytes.
-BLOCK_DOCS = 1 << 16
+#: Places in a block at most, as they have two bytes.
+BLOCK_PLACES = 1 << 16
 #: Bytes of ids that are sent to every executor at most; more are joined.
 BROADCAST_BYTES = store.BROADCAST_BYTES
 
@@ -96,21 +97,31 @@ class Rule:
                 found = np.sort(grams[first[r] : max(first[r], first[r + 1] - self.words + 1)])
                 yield found[np.concatenate([[True], found[1:] != found[:-1]])] if len(found) else found
 
-    def tiles(self, found: np.ndarray) -> np.ndarray:
-        """A hash for each tile of a set."""
-        if not len(found):
-            return np.zeros(0, np.uint64)
+    def tiles(self, found: np.ndarray) -> list[tuple[np.ndarray, int]]:
+        """For the pairs with the band below and with the band above: a hash for each tile of a set, and how many of them a partner must share.
+
+        A part that differs holds a difference at least, so a linked pair has as
+        many equal parts as there are more parts than the differences that the
+        sizes allow; of these only the empty ones are not tiles.
+        """
         total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(hashing.mix(found + np.uint64(0x5851F42D4C957F2D)))])
-        band, out = self.band(len(found)), []
-        for pair in (band, band + 1):  # with the band below, and with the band above
+        size, band, out = len(found), self.band(len(found)), []
+        for pair in (band, band + 1):
             parts, spare = self.parts(pair)
             cut = np.searchsorted(found, (np.arange(1, parts, dtype=np.float64) * (2.0**64 / parts)).astype(np.uint64))
-            cut = np.concatenate([[0], cut, [len(found)]])
+            cut = np.concatenate([[0], cut, [size]])
             place = np.arange(parts, dtype=np.uint64) + np.uint64((pair << 40) & ((1 << 64) - 1))
             tile = hashing.mix(hashing.mix(total[cut[1:]] - total[cut[:-1]]) ^ hashing.mix(place))
             filled = cut[1:] > cut[:-1]
-            out.append(tile[filled] if parts - int(filled.sum()) <= spare else tile)
-        return np.concatenate(out)
+            empty = parts - int(filled.sum())
+            if empty <= spare:
+                tile = tile[filled]
+            else:
+                empty = 0
+            largest = min(100 * size // self.percent, int(self.bounds[pair + 1]) - 1)
+            differences = (100 - self.percent) * (size + largest) // (100 + self.percent)
+            out.append((tile, max(1, parts - differences - empty)))
+        return out
 
 
 def _bitmap(found: np.ndarray) -> np.ndarray:
@@ -143,73 +154,85 @@ def signatures(docs: DataFrame, rule: Rule) -> DataFrame:
     return docs.select("doc_id", "text").transform(arrow_map, make, f"doc_id long, n long, k1 long, k2 long, n_tiles long, {', '.join(f'{b} long' for b in _BITS)}")
 
 
-def _runs(order: np.ndarray) -> np.ndarray:
-    """Where runs of equal values start in a sorted array."""
-    return np.flatnonzero(np.concatenate([[True], order[1:] != order[:-1]]))
-
-
 def shared_tiles(docs: DataFrame, rule: Rule, n_tiles: int) -> DataFrame:
-    """(tile, v): the tiles that several documents of ``docs`` have, with those documents; equal sets should be one row.
+    """(tile, v): tiles that several documents have, with the documents that share as many as a link takes.
 
-    A task deals its documents into blocks, sorts a block's tiles and sends each
-    hash range as one row of packed hashes and places of documents in the block.
-    The ids of a block travel as a row of their own and pass through.  ``n_tiles``
-    is the number of tiles, for choosing the number of hash ranges.
+    ``docs`` has each doc_id once, equal sets once, and no empty ones.  A task
+    deals its documents into blocks, sorts a block's tiles and sends each hash
+    range as one row of packed hashes and places of documents in the block.  The
+    ids of a block travel as a row of their own and pass through.  ``n_tiles`` is
+    the number of tiles, for choosing the number of hash ranges.
     """
     parts = max(store.shuffle_partitions(docs.sparkSession), -(-n_tiles // PART_TILES))
     bounds = np.asarray([(p << TILE_BITS) // parts for p in range(1, parts)], dtype=np.uint64)
+    sent_type = "part int, block long, keys binary, places binary, ids array<long>, least array<int>"
+    held_type = "tile long, block long, place int, ids array<long>, least array<int>"
+    types = {"part": pa.int32(), "tile": pa.int64(), "block": pa.int64(), "place": pa.int32(), "keys": pa.binary(), "places": pa.binary(), "ids": pa.list_(pa.int64()), "least": pa.list_(pa.int32())}
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        task, ids, found, size, block = TaskContext.get().partitionId(), [], [], 0, 0
+        # Places 2 i and 2 i + 1 are document i's tiles with the band below and above.
+        task, ids, least, found, size, block = TaskContext.get().partitionId(), [], [], [], 0, 0
+        names = ["part", "block", "keys", "places", "ids", "least"]
 
         def out() -> pa.RecordBatch:
             nonlocal size, block
             number = (task << 24) + block
-            counts = [len(t) for t in found]
             keys = np.concatenate(found) >> np.uint64(64 - TILE_BITS)
             order = np.argsort(keys, kind="stable")
-            keys, place = keys[order], np.repeat(np.arange(len(ids), dtype="<u2"), counts)[order]
+            keys, place = keys[order], np.repeat(np.arange(len(found), dtype="<u2"), [len(t) for t in found])[order]
             cuts = np.concatenate([[0], np.searchsorted(keys, bounds), [len(keys)]])
-            rows = [(p, number, packed_keys.packed(keys[a:b]), place[a:b].tobytes(), None) for p, (a, b) in enumerate(zip(cuts, cuts[1:])) if b > a]
-            rows.append((-1 - number % parts, number, None, None, list(ids)))
-            ids.clear()
-            found.clear()
+            rows = [(p, number, packed_keys.packed(keys[a:b]), place[a:b].tobytes(), None, None) for p, (a, b) in enumerate(zip(cuts, cuts[1:])) if b > a]
+            rows.append((-1 - number % parts, number, None, None, list(ids), list(least)))
+            for kept in (ids, least, found):
+                kept.clear()
             size, block = 0, block + 1
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.int64())))], names=["part", "block", "keys", "places", "ids"])
+            return pa.RecordBatch.from_arrays([pa.array(c, types[n]) for c, n in zip(zip(*rows), names)], names=names)
 
         for batch in batches:
             known = batch.column(0).to_pylist()
             for a, _, data, offsets in hashing.chunks(batch.column(1)):
                 for i, one in enumerate(rule.sets(data, offsets), a):
-                    tiles = rule.tiles(one)
-                    if len(tiles) and known[i] is not None:
-                        if size + len(tiles) > BLOCK_TILES and size or len(ids) == BLOCK_DOCS:
-                            yield out()
+                    if not len(one) or known[i] is None:
+                        continue
+                    both = rule.tiles(one)
+                    more = sum(len(t) for t, _ in both)
+                    if size and (size + more > BLOCK_TILES or len(ids) == BLOCK_PLACES):
+                        yield out()
+                    for tiles, enough in both:
                         ids.append(known[i])
+                        least.append(enough)
                         found.append(tiles)
-                        size += len(tiles)
+                    size += more
         if ids:
             yield out()
 
     def match(table: pa.Table) -> pa.Table:
-        names, types = ["tile", "block", "place", "ids"], (pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.int64()))
+        names = ["tile", "block", "place", "ids", "least"]
         if table.column("part")[0].as_py() < 0:
-            n = table.num_rows
-            return pa.table([pa.nulls(n, pa.int64()), table.column("block"), pa.nulls(n, pa.int32()), table.column("ids")], names=names)
-        keys = [packed_keys.unpacked(x) for x in table.column("keys").to_pylist()]
-        block = np.repeat(np.asarray(table.column("block")), [len(k) for k in keys])
-        place = np.frombuffer(b"".join(table.column("places").to_pylist()), "<u2")
-        key = np.concatenate(keys)
-        order = np.argsort(key, kind="stable")
-        head = _runs(key[order])
-        size = np.diff(np.append(head, len(order)))
-        several = order[np.repeat(size > 1, size)]
-        return pa.table([pa.array(c, t) for c, t in zip((hashing.signed(key[several]), block[several], place[several]), types)] + [pa.nulls(len(several), types[3])], names=names)
-
-    sent = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").transform(arrow_map, deal, "part int, block long, keys binary, places binary, ids array<long>")
-    held = store.written(sent.groupBy("part").applyInArrow(match, "tile long, block long, place int, ids array<long>"))
-    ids = held.where("ids is not null").select("block", F.posexplode("ids").alias("place", "v"))
-    return held.where("ids is null").join(ids, ["block", "place"]).select("tile", "v").distinct()
+            given = {n: table.column(n) for n in ("block", "ids", "least")}
+        else:
+            keys = [packed_keys.unpacked(x) for x in table.column("keys").to_pylist()]
+            block = np.repeat(np.asarray(table.column("block")), [len(k) for k in keys])
+            place = np.frombuffer(b"".join(table.column("places").to_pylist()), "<u2")
+            key = np.concatenate(keys)
+            order = np.argsort(key, kind="stable")
+            ranked = key[order]
+            head = np.flatnonzero(np.concatenate([[True], ranked[1:] != ranked[:-1]]))
+            run = np.diff(np.append(head, len(order)))
+            several = order[np.repeat(run > 1, run)]
+            given = {"tile": hashing.signed(key[several]), "block": block[several], "place": place[several]}
+        n = len(given["block"])
+        return pa.table([pa.chunked_array([pa.array(given[c], types[c])]) if isinstance(given.get(c), np.ndarray) else given[c] if c in given else pa.nulls(n, types[c]) for c in names], names=names)
+
+    sent = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").transform(arrow_map, deal, sent_type)
+    held = store.written(sent.groupBy("part").applyInArrow(match, held_type))
+    ids = held.where("ids is not null").select("block", F.posexplode(F.arrays_zip("ids", "least")).alias("place", "of")).select("block", "place", F.col("of.ids").alias("v"), F.col("of.least").alias("least"))
+    # All tiles of a place meet in the join, so counting them there needs no shuffle of its own.
+    met = F.count(F.lit(1)).over(Window.partitionBy("block", "place"))
+    enough = held.where("ids is null").select("tile", "block", "place").join(ids, ["block", "place"]).withColumn("met", met).where("met >= least")
+    enough = store.written(enough.select("tile", "v"))
+    several = enough.groupBy("tile").agg(F.min("v").alias("a"), F.max("v").alias("b")).where("a < b").select("tile")
+    return enough.join(several, "tile", "left_semi")
 
 
 def may_link(percent: int) -> Column:
@@ -265,12 +288,14 @@ def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame,
     """
     rule = rule or Rule()
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    made = store.written(signatures(docs, rule))
-    differing = store.written(made.where("doc_id is not null").groupBy("doc_id").agg(F.min("k1").alias("a"), F.max("k1").alias("b")).where("a <> b").select("doc_id"))
-    if not differing.isEmpty():
-        differing = store.broadcast_if_small(differing, most=BROADCAST_BYTES)
-        first = docs.join(differing, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text"))
-        docs = store.written(docs.join(differing, "doc_id", "left_anti").unionByName(docs.join(differing, "doc_id", "left_semi").select("doc_id").join(first, "doc_id")))
+    given, made = docs, store.written(signatures(docs, rule))
+    # Repeated doc_ids, seldom many: one row of each goes on.
+    repeated = store.written(made.where("doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("rows")).where("rows > 1").select("doc_id"))
+    again = not repeated.isEmpty()
+    if again:
+        repeated = store.broadcast_if_small(repeated, most=BROADCAST_BYTES)
+        first = docs.join(repeated, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text"))
+        docs = store.written(docs.join(repeated, "doc_id", "left_anti").unionByName(first))
         made = store.written(signatures(docs, rule))
     classes = made.where("n > 0 and doc_id is not null").groupBy("k1", "k2").agg(F.min("doc_id").alias("class_id")).select(F.col("k1").alias("__k1"), F.col("k2").alias("__k2"), "class_id")
     same_set = (F.col("k1") == F.col("__k1")) & (F.col("k2") == F.col("__k2")) & (F.col("n") > 0)
@@ -281,7 +306,7 @@ def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame,
     extra = store.written(members.where("doc_id <> class_id or n_shingles = 0").select("doc_id").distinct())
     heads = docs.where("doc_id is not null").join(store.broadcast_if_small(extra, most=BROADCAST_BYTES), "doc_id", "left_anti")
     in_tile = store.written(shared_tiles(heads, rule, made.agg(F.sum("n_tiles")).first()[0] or 0))
-    classes = made.join(in_tile.select(F.col("v").alias("doc_id")).distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    classes = made.join(in_tile.select(F.col("v").alias("doc_id")).distinct(), "doc_id", "left_semi")
     classes = store.written(classes.select(F.col("doc_id").alias("class_id"), "n", *_BITS))
     # A tile's lead is the document that shares most tiles with others: near copies of
     # one text are closer to that text than to each other.
@@ -324,6 +349,8 @@ def jaccard_links(docs: DataFrame, rule: Rule | None = None) -> tuple[DataFrame,
     more = store.written(more)
     if not more.isEmpty():
         links = links.unionByName(_verified(docs, more, rule))
+    if again:
+        members = members.where("doc_id is null").unionByName(given.where("doc_id is not null").select("doc_id").join(members, "doc_id").select(*members.columns))
     return members, links
 
 
