@@ -15,10 +15,12 @@ Likeness of two fingerprints is the share of equal components.
 
 Defined cases: a null text is empty; a text without words has one element of its
 own, so empty texts are alike; fewer than ``k`` words are one element; positions
-beyond 2**24 words count as the last; rows with equal doc_id and text share one
-result, and their order among each other follows the text; with one document the
-next is itself; an empty table gives an empty result; only doc_id and text are
-read; a null doc_id comes last in descending order.
+beyond 2**24 words count as the last; every row of the input has one row in the
+result, repeated ones too; rows with equal doc_id follow each other in an order of
+their texts (by hash, then by text), so that one doc_id that many rows share is
+dealt over many tasks; with one document the next is itself; an empty table gives
+an empty result; only doc_id and text are read; a null doc_id comes last in
+descending order.
 """
 
 from __future__ import annotations
@@ -95,28 +97,38 @@ def likeness(a: Column, b: Column) -> Column:
 
 
 def in_ring(docs: DataFrame, parts: int | None = None) -> DataFrame:
-    """(doc_id, text, next_id, next_text): the next document in descending order of doc_id; the first follows the last.
+    """(doc_id, text, next_id, next_text, at, next_at): the next document in descending order of doc_id; the first follows the last.
 
     Ranges of doc_id from approximate quantiles are the groups of one window each;
-    the first row of every range closes the gap to the range before.
+    the first row of every range closes the gap to the range before.  A doc_id that
+    holds several quantiles, and a null one, is cut further by the text's hash.
+    ``at`` numbers the rows, ``next_at`` is the number of the next row.
     """
     spark = docs.sparkSession
     clean = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
     wanted = parts or 4 * store.shuffle_partitions(spark)
-    bounds = sorted({int(b) for b in clean.select(F.col("doc_id").cast("double").alias("d")).stat.approxQuantile("d", [i / wanted for i in range(1, wanted)], 1 / (4 * wanted))})
-    # Number of bounds below the doc_id, by a search tree of comparisons over at most ``wanted`` literals.
-    bucket = F.when(F.col("doc_id").isNull(), F.lit(-1)).otherwise(_search(bounds, F.col("doc_id"), 0)).cast("int")
-    ranged = clean.withColumn("bucket", bucket)
+    quantiles = [int(b) for b in clean.select(F.col("doc_id").cast("double").alias("d")).stat.approxQuantile("d", [i / wanted for i in range(1, wanted)], 1 / (4 * wanted))]
+    bounds, bits = sorted(set(quantiles)), max(1, wanted.bit_length())
+    heavy = [b for b in bounds if quantiles.count(b) > 1]
+    slice_ = F.shiftrightunsigned(F.xxhash64("text"), 64 - bits)
+    # Number of bounds up to the doc_id, by a search tree of comparisons over at most ``wanted`` literals.
+    base = F.when(F.col("doc_id").isNull(), F.lit(-1)).otherwise(_search(bounds, F.col("doc_id"), 0)).cast("long")
+    sliced = F.col("doc_id").isNull() | F.col("doc_id").isin(heavy) if heavy else F.col("doc_id").isNull()
+    ranged = clean.withColumn("slice", F.when(sliced, slice_).otherwise(F.lit(1 << bits)).cast("long")).withColumn("bucket", base * F.lit((1 << bits) + 1) + F.col("slice"))
     order = Window.partitionBy("bucket").orderBy(F.desc_nulls_last("doc_id"), F.desc("text"))
     # Plain columns: a struct would travel beside the text that it repeats.
-    here = ranged.select("bucket", "doc_id", "text", F.lead("doc_id").over(order).alias("after_id"), F.lead("text").over(order).alias("after_text"), F.lead(F.lit(True)).over(order).alias("inner"))
+    here = ranged.select("bucket", "doc_id", "text", F.lead("doc_id").over(order).alias("after_id"), F.lead("text").over(order).alias("after_text"), F.lead(F.lit(True)).over(order).alias("inner"), F.row_number().over(order).alias("place"))
     # One row for each range: its first document, and that of the range that follows it.
     top = ranged.groupBy("bucket").agg(F.max(F.struct(F.col("doc_id").isNotNull().alias("known"), "doc_id", "text")).alias("x")).select("bucket", F.struct("x.doc_id", "x.text").alias("first"))
     ids = [r[0] for r in top.select("bucket").orderBy(F.desc("bucket")).collect()]
-    follows = spark.createDataFrame([(a, b) for a, b in zip(ids, [*ids[1:], *ids[:1]])], "bucket int, after int")
-    after = follows.join(top.withColumnRenamed("bucket", "after"), "after").select(F.col("bucket").alias("at"), "first")
-    joined = here.join(after, (F.col("bucket") == F.col("at")) & F.col("inner").isNull(), "left")
-    return joined.select("doc_id", "text", F.when(F.col("inner"), F.col("after_id")).otherwise(F.col("first.doc_id")).alias("next_id"), F.when(F.col("inner"), F.col("after_text")).otherwise(F.col("first.text")).alias("next_text"))
+    follows = spark.createDataFrame([(a, b) for a, b in zip(ids, [*ids[1:], *ids[:1]])], "bucket long, after long")
+    after = follows.join(top.withColumnRenamed("bucket", "after"), "after").select(F.col("bucket").alias("from"), "after", "first")
+    joined = here.join(after, (F.col("bucket") == F.col("from")) & F.col("inner").isNull(), "left")
+    number = lambda bucket, place: F.col(bucket) * F.lit(1 << 40) + place
+    return joined.select(
+        "doc_id", "text", F.when(F.col("inner"), F.col("after_id")).otherwise(F.col("first.doc_id")).alias("next_id"), F.when(F.col("inner"), F.col("after_text")).otherwise(F.col("first.text")).alias("next_text"),
+        number("bucket", F.col("place")).alias("at"), F.when(F.col("inner"), number("bucket", F.col("place") + 1)).otherwise(number("after", F.lit(1))).alias("next_at"),
+    )
 
 
 def _search(bounds: list[int], x: Column, base: int) -> Column:
@@ -139,15 +151,15 @@ def document_fingerprints(docs: DataFrame, components: int = COMPONENTS, k: int
     # The digest travels as four longs, so that the aggregation stays one of fixed-width values.
     digest = F.sha2("edited", 256)
     quarters = [F.conv(F.substring(digest, 16 * i + 1, 16), 16, -10).cast("long").alias(f"d{i}") for i in range(4)]
-    facts = ["n_chars", "next_id", "next_row", *(f"d{i}" for i in range(4))]
-    split = ring.select("doc_id", F.xxhash64("doc_id", "text").alias("row"), "next_id", F.xxhash64("next_id", "next_text").alias("next_row"), F.length("text").cast("long").alias("n_chars"), *quarters, F.explode(texts).alias("t"))
-    rows = split.select("doc_id", "row", F.col("t.which").alias("which"), *facts, F.col("t.text").alias("text"))
-    made = store.written(fingerprints(rows, ["doc_id", "row", "which"], facts, components, k))
-
-    own = made.where("which = 0").select("doc_id", "row", "n_chars", "next_id", "next_row", F.concat_ws("", *(F.lpad(F.hex(f"d{i}"), 16, "0") for i in range(4))).alias("digest"), F.col("fingerprint").alias("own"))
-    changed = made.where("which = 1").select(F.col("doc_id").alias("c_id"), F.col("row").alias("c_row"), F.col("fingerprint").alias("changed"))
-    after = made.where("which = 0").select(F.col("doc_id").alias("a_id"), F.col("row").alias("a_row"), F.col("fingerprint").alias("after"))
-    joined = own.join(changed, F.col("doc_id").eqNullSafe(F.col("c_id")) & (F.col("row") == F.col("c_row"))).join(after, F.col("next_id").eqNullSafe(F.col("a_id")) & (F.col("next_row") == F.col("a_row")))
+    facts = ["doc_id", "n_chars", "next_at", *(f"d{i}" for i in range(4))]
+    split = ring.select("at", "doc_id", "next_at", F.length("text").cast("long").alias("n_chars"), *quarters, F.explode(texts).alias("t"))
+    rows = split.select("at", F.col("t.which").alias("which"), *facts, F.col("t.text").alias("text"))
+    made = store.written(fingerprints(rows, ["at", "which"], facts, components, k))
+
+    own = made.where("which = 0").select("at", "doc_id", "n_chars", "next_at", F.concat_ws("", *(F.lpad(F.hex(f"d{i}"), 16, "0") for i in range(4))).alias("digest"), F.col("fingerprint").alias("own"))
+    changed = made.where("which = 1").select("at", F.col("fingerprint").alias("changed"))
+    after = made.where("which = 0").select(F.col("at").alias("after_at"), F.col("fingerprint").alias("after"))
+    joined = own.join(changed, "at").join(after, F.col("next_at") == F.col("after_at"))
     return joined.select(
         "doc_id", "n_chars", F.lower("digest").alias("edited_sha256"), as_text(F.col("own")).alias("fingerprint"), as_text(F.col("changed")).alias("edited_fingerprint"),
         likeness(F.col("own"), F.col("changed")).alias("near_edited"), likeness(F.col("own"), F.col("after")).alias("near_next"),

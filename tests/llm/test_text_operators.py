@@ -7,6 +7,7 @@ import re
 from collections import Counter
 
 import pytest
+import xxhash
 
 from signpart.llm import language_id, line_dedup, lm_score, order_minhash, packed_keys, substring_dedup
 
@@ -144,6 +145,79 @@ def test_ring_and_edited_texts(spark):
     assert order_minhash.document_fingerprints(frame(spark, [(1, "only one")])).first()["near_next"] == 1
 
 
+def signed64(x):
+    return x - (1 << 64) if x >= 1 << 63 else x
+
+
+def xx(*values):
+    """Spark's 64-bit hash of text, longs and ints (as (value, bytes)), one after the other; None is passed over."""
+    seed = 42
+    for v in values:
+        if v is not None:
+            data = v.encode() if isinstance(v, str) else (v[0] % (1 << 8 * v[1])).to_bytes(v[1], "little")
+            seed = xxhash.xxh64_intdigest(data, seed)
+    return signed64(seed)
+
+
+def murmur(*words):
+    """Spark's 32-bit hash of values given as lists of 32-bit words."""
+    mask, h = 0xFFFFFFFF, 42
+    rotl = lambda x, r: (x << r | x >> 32 - r) & mask
+    for value in words:
+        for w in value:
+            h = (rotl(h ^ rotl(w * 0xCC9E2D51 & mask, 15) * 0x1B873593 & mask, 13) * 5 + 0xE6546B64) & mask
+        h ^= 4 * len(value)
+        for shift, factor in ((16, 0x85EBCA6B), (13, 0xC2B2AE35)):
+            h = (h ^ h >> shift) * factor & mask
+        h ^= h >> 16
+    return h
+
+
+def fingerprint_of(text, k=order_minhash.K, components=order_minhash.COMPONENTS):
+    """The same fingerprint from a plain reading of the method."""
+    low = (1 << 24) - 1
+    words = re.split(r"[\x20\x09-\x0D]+", (text or "").strip(" \t\n\x0b\x0c\r"))
+    seen, elements = Counter(), []
+    for i in range(max(1, len(words) - k + 1)):
+        high = xx(*words[i : i + k]) >> 24
+        elements.append((high if not seen[high] else xx((high, 8), (seen[high], 4)) >> 24, i))
+        seen[high] += 1
+    least = [min((xx((e, 8), (j, 4)) & ~low) | i for e, i in elements) for j in range(2 * components)]
+    out = []
+    for a, b in zip(least[::2], least[1::2]):
+        first = (a & low) <= (b & low)
+        a, b = (a >> 24, b >> 24) if first else (b >> 24, a >> 24)
+        out.append(murmur(*([x & 0xFFFFFFFF, x >> 32 & 0xFFFFFFFF] for x in (a, b)), [int(first)]))
+    return out
+
+
+def test_fingerprints_equal_a_plain_reading(spark):
+    """All columns, with repeated rows, null ids, one doc_id with many texts, and likenesses."""
+    rnd = random.Random(9)
+    rows = [(i, " ".join(rnd.choice(["a", "b", "c", "dd", "é"]) for _ in range(rnd.randint(0, 30)))) for i in range(12)]
+    rows += [(40, t) for t in ODD] + [(41, "same row"), (41, "same row"), (41, "same row"), (None, "no id"), (None, "no id"), (None, "other")]
+    rows += [(99, f"text {i} of one id") for i in range(60)]
+    ring = {r["at"]: r for r in order_minhash.in_ring(frame(spark, rows)).collect()}
+    assert Counter((r["doc_id"], r["text"]) for r in ring.values()) == Counter((i, t or "") for i, t in rows) and len(ring) == len(rows)
+    assert sorted(r["next_at"] for r in ring.values()) == sorted(ring)
+    walk, at = [], max(ring, key=lambda a: (ring[a]["doc_id"] or -1))
+    for _ in ring:
+        assert (ring[at]["next_id"], ring[at]["next_text"]) == (ring[ring[at]["next_at"]]["doc_id"], ring[ring[at]["next_at"]]["text"])
+        walk.append(ring[at]["doc_id"])
+        at = ring[at]["next_at"]
+    start = next(k for k in range(len(walk)) if walk[k] == 99 and walk[k - 1] is None)
+    assert walk[start:] + walk[:start] == sorted((i for i, _ in rows if i is not None), reverse=True) + [None] * 3
+    hexed = lambda f: "".join(f"{c:08X}" for c in f)
+    like = lambda a, b: sum(x == y for x, y in zip(a, b)) / len(a)
+    want = Counter()
+    for r in ring.values():
+        cut = len(r["text"]) // 3
+        changed = r["text"][: len(r["text"]) - cut] + r["next_text"][:cut]
+        own, other, after = fingerprint_of(r["text"]), fingerprint_of(changed), fingerprint_of(r["next_text"])
+        want[r["doc_id"], len(r["text"]), sha(changed), hexed(own), hexed(other), like(own, other), like(own, after)] += 1
+    assert Counter(map(tuple, order_minhash.document_fingerprints(frame(spark, rows)).collect())) == want
+
+
 # ---- languages
 
 
