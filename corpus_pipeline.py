@@ -36,8 +36,7 @@ def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     """Keeps one document, that of the least doc_id, of each group of near copies (five words, 0.8)."""
     groups = jaccard_join.jaccard_groups(docs, words=5, percent=80)
     extra = store.written(groups.where("doc_id <> component_id").select("doc_id").distinct())
-    extra = F.broadcast(extra) if store.small_enough(extra, jaccard_join.BROADCAST_IDS) else extra
-    return docs.join(extra, "doc_id", "left_anti").select(*docs.columns)
+    return docs.join(store.broadcast_if_small(extra), "doc_id", "left_anti").select(*docs.columns)
 
 
 def mixed_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

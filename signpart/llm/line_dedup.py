@@ -1,9 +1,12 @@
 """Line deduplication over levelled sorted runs of line hashes.
 
-Each batch of documents becomes one immutable run: a table of (key hash, number
-of documents), sorted by hash.  Runs of one level are merged into one run of the
-next as soon as there are ``fanout`` of them, so an index over many batches holds
-few runs.  A batch is judged by a merge of its own lines with the runs.
+An index takes documents in batches.  The line keys of a batch, with the number of
+its documents that hold each, are merge-joined with the runs of all batches before:
+keys without a match are new, the others learn how often they stood before, and a
+key whose total passes the limit here is noted as common, once.  Then the batch
+becomes an immutable run itself, sorted by hash.  Runs of one level are merged into
+one run of the next as soon as there are ``fanout`` of them, so an index over many
+batches holds few runs.
 
 The key of a line is the line without the characters ``[\\x20\\x09-\\x0D]`` at
 both ends and with A-Z lower-cased, hashed to 128 bits.
@@ -22,7 +25,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -50,74 +53,89 @@ def _texts(batch: pa.RecordBatch, name: str = "text") -> list[bytes]:
     return pc.fill_null(col, "").cast(pa.large_binary()).to_pylist()
 
 
-def line_counts(docs: DataFrame, min_chars: int = 1) -> DataFrame:
-    """(key, n_docs): the number of documents that hold each line key, combined in each task first."""
+def line_counts(docs: DataFrame, min_chars: int = 1, batch: Column | None = None) -> DataFrame:
+    """(batch, key, n_docs): the number of documents of each batch that hold each line key, combined in each task first."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen: dict[bytes, int] = {}
+        seen: dict[tuple[int, bytes], int] = {}
 
         def out() -> pa.RecordBatch:
-            made = pa.RecordBatch.from_arrays([pa.array(list(seen), pa.binary()), pa.array(list(seen.values()), pa.int64())], names=["key", "n_docs"])
+            made = pa.RecordBatch.from_arrays([pa.array([k[0] for k in seen], pa.int32()), pa.array([k[1] for k in seen], pa.binary()), pa.array(list(seen.values()), pa.int64())], names=["batch", "key", "n_docs"])
             seen.clear()
             return made
 
-        for batch in batches:
-            for text in _texts(batch):
+        for part in batches:
+            for number, text in zip(part.column(0).to_pylist(), _texts(part)):
                 for key in {*_keys(text, min_chars)} - {None}:
-                    seen[key] = seen.get(key, 0) + 1
+                    seen[number, key] = seen.get((number, key), 0) + 1
                 if len(seen) >= _COMBINE:
                     yield out()
         if seen:
             yield out()
 
-    per_task = docs.select("text").transform(arrow_map, count, "key binary, n_docs long")
-    return per_task.groupBy("key").agg(F.sum("n_docs").alias("n_docs"))
+    per_task = docs.select((F.lit(0) if batch is None else batch).cast("int").alias("batch"), "text").transform(arrow_map, count, "batch int, key binary, n_docs long")
+    return per_task.groupBy("batch", "key").agg(F.sum("n_docs").alias("n_docs"))
 
 
 class LineRuns:
     """An index of line keys as levels of immutable sorted runs in the shared folder."""
 
-    def __init__(self, spark: SparkSession, folder: str | None = None, fanout: int = 4, min_chars: int = 1):
-        self.spark, self.fanout, self.min_chars = spark, fanout, min_chars
+    def __init__(self, spark: SparkSession, min_docs: int = 10, folder: str | None = None, fanout: int = 4, min_chars: int = 1):
+        self.spark, self.fanout, self.min_chars, self.min_docs = spark, fanout, min_chars, min_docs
         self.folder = folder or store.shared_folder(spark)
         self.levels: list[list[str]] = [[]]
+        self.merges = 0
+        self._noted: list[str] = []
         self._made = 0
 
-    def _write(self, counts: DataFrame, level: int) -> None:
+    def _write(self, counts: DataFrame, level: int) -> DataFrame:
         path = f"{self.folder}/level-{level}/run-{self._made}"
         self._made += 1
-        counts.sortWithinPartitions("key").write.parquet(path)
         while len(self.levels) <= level:
             self.levels.append([])
         self.levels[level].append(path)
+        return store.written(counts.sortWithinPartitions("key"), path)
 
     def _merge(self, paths: list[str]) -> DataFrame:
         runs = self.spark.read.schema("key binary, n_docs long").parquet(*paths)
         return runs.groupBy("key").agg(F.sum("n_docs").alias("n_docs"))
 
-    def add(self, docs: DataFrame) -> None:
-        """One more run from a batch; compacts the levels that are full."""
-        self._write(line_counts(docs, self.min_chars), 0)
-        level = 0
+    def counts(self) -> DataFrame:
+        """(key, n_docs) over all runs."""
+        paths = [p for level in self.levels for p in level]
+        return self._merge(paths) if paths else self.spark.createDataFrame([], "key binary, n_docs long")
+
+    def judged(self, counts: DataFrame) -> DataFrame:
+        """(key, n_docs, before) of a batch's counts: ``before`` is the total of the runs, null for a key that no run holds."""
+        return counts.select("key", "n_docs").join(self.counts().withColumnRenamed("n_docs", "before").hint("merge"), "key", "left")
+
+    def add(self, docs: DataFrame) -> DataFrame:
+        return self.add_counts(line_counts(docs, self.min_chars))
+
+    def add_counts(self, counts: DataFrame) -> DataFrame:
+        """Judges a batch by the runs so far, notes the keys that become common, and adds its run; returns the keys that were new.
+
+        Full levels are compacted afterwards.
+        """
+        run = self._write(self.judged(counts), 0)
+        before = F.coalesce("before", F.lit(0))
+        noted = f"{self.folder}/common/{self._made}"
+        store.written(run.where((before < self.min_docs) & (before + F.col("n_docs") >= self.min_docs)).select("key"), noted)
+        self._noted.append(noted)
+        new, level = run.where("before is null").select("key"), 0
         while len(self.levels[level]) >= self.fanout:
             full, self.levels[level] = self.levels[level], []
             self._write(self._merge(full), level + 1)
-            for path in full:
+            self.merges += 1
+            # The latest run stays for the caller, who may still read its new keys.
+            for path in full[:-1] if level == 0 else full:
                 store.remove(self.spark, path)
             level += 1
+        return new
 
-    def counts(self) -> DataFrame:
-        """(key, n_docs) over all runs."""
-        paths = [p for level in self.levels for p in level]
-        return self._merge(paths) if paths else self.spark.createDataFrame([], "key binary, n_docs long")
-
-    def common(self, min_docs: int) -> DataFrame:
+    def common(self) -> DataFrame:
         """Keys found in at least ``min_docs`` documents of all batches so far."""
-        return self.counts().where(F.col("n_docs") >= min_docs).select("key")
-
-    def unseen(self, docs: DataFrame) -> DataFrame:
-        """Keys of a new batch that no run holds: a merge anti join."""
-        return line_counts(docs, self.min_chars).join(self.counts().hint("merge"), "key", "left_anti")
+        return self.spark.read.schema("key binary").parquet(*self._noted) if self._noted else self.spark.createDataFrame([], "key binary")
 
 
 _ADDED = {"text": T.StringType(), "n_lines": T.LongType(), "n_dropped": T.LongType()}
@@ -149,36 +167,40 @@ def drop_lines(docs: DataFrame, common: DataFrame, min_chars: int = 1, broadcast
         held = spark.sparkContext.broadcast(frozenset(bytes(r[0]) for r in common.collect()))
         return with_columns(docs, _ADDED, lambda batch: _without(_texts(batch), lambda _: held.value, min_chars))
 
-    keyed = docs.withColumns({"__id": F.md5(F.coalesce("text", F.lit("")))})
+    id_, drop_ = store.free_names(docs, "id", "drop")
+    keyed = docs.withColumn(id_, F.md5(F.coalesce("text", F.lit(""))))
 
     def pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column(0).to_pylist()
             rows = [(i, k) for i, text in zip(ids, _texts(batch)) for k in {*_keys(text, min_chars)} - {None}]
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.binary())], names=["__id", "key"])
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.binary())], names=["id", "key"])
 
-    found = keyed.select("__id", "text").transform(arrow_map, pairs, "__id string, key binary").distinct().join(common, "key")
-    per_text = found.groupBy("__id").agg(F.collect_set("key").alias("__drop"))
-    joined = keyed.join(per_text, "__id", "left")
+    found = keyed.select(id_, "text").transform(arrow_map, pairs, "id string, key binary").distinct().join(common, "key")
+    per_text = found.groupBy(F.col("id").alias(id_)).agg(F.collect_set("key").alias(drop_))
+    joined = keyed.join(per_text, id_, "left")
 
     def make(batch: pa.RecordBatch) -> dict:
-        drops = batch.column(batch.schema.get_field_index("__drop")).to_pylist()
+        drops = batch.column(batch.schema.get_field_index(drop_)).to_pylist()
         return _without(_texts(batch), lambda row: {*(drops[row] or ())}, min_chars)
 
     return with_columns(joined, _ADDED, make, keep=docs.columns)
 
 
-def line_dedup(docs: DataFrame, min_docs: int = 10, min_chars: int = 1, batches: int = 2, broadcast_keys: int = BROADCAST_KEYS) -> DataFrame:
+def line_dedup(docs: DataFrame, min_docs: int = 10, min_chars: int = 1, batches: int = 5, fanout: int = 4, broadcast_keys: int = BROADCAST_KEYS) -> DataFrame:
     """docs without the lines whose key stands in at least ``min_docs`` documents.
 
-    The index takes the documents in ``batches`` batches, as successive
-    deliveries would come; the judgement is on the totals.
+    The index takes the documents in ``batches`` batches, as successive deliveries
+    would come; more of them than ``fanout`` compact it on the way.  The lines of
+    all batches are hashed in one pass over the documents.  A key's total does not
+    depend on the order or the number of batches.
     """
-    index = LineRuns(docs.sparkSession, min_chars=min_chars)
-    batch = F.pmod(F.xxhash64("doc_id"), F.lit(batches))
+    spark = docs.sparkSession
+    index = LineRuns(spark, min_docs, min_chars=min_chars, fanout=fanout)
+    counts = store.written(line_counts(docs, min_chars, F.pmod(F.xxhash64("doc_id", "text"), F.lit(batches))), f"{index.folder}/counts")
     for k in range(batches):
-        index.add(docs.where(batch == k))
-    return drop_lines(docs, index.common(min_docs), min_chars, broadcast_keys)
+        index.add_counts(counts.where(F.col("batch") == k))
+    return drop_lines(docs, index.common(), min_chars, broadcast_keys)
 
 
 def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -48,12 +48,46 @@ def test_common_lines_go(spark, limit):
 
 
 def test_runs_compact_and_tell_new_lines(spark):
-    index = line_dedup.LineRuns(spark, fanout=2)
+    index = line_dedup.LineRuns(spark, min_docs=4, fanout=2)
     for k in range(4):
-        index.add(frame(spark, [(k, "same\nline %d" % k)]))
-    assert [len(x) for x in index.levels] == [0, 0, 1]
-    assert index.common(4).count() == 1
-    assert index.unseen(frame(spark, [(9, "same\nfresh")])).count() == 1
+        new = index.add(frame(spark, [(k, "same\nline %d" % k)]))
+        assert new.count() == (2 if k == 0 else 1)
+        assert index.common().count() == (1 if k == 3 else 0)
+    assert [len(x) for x in index.levels] == [0, 0, 1] and index.merges == 3
+    assert index.add(frame(spark, [(9, "same\nfresh\nfresh")])).count() == 1
+    assert index.common().count() == 1
+
+
+def test_order_and_number_of_batches_do_not_matter(spark):
+    """Every batch goes through the runs; the common keys are those of plain totals."""
+    rnd = random.Random(8)
+    rows = [(i, "\n".join(f"l{rnd.randint(0, 40)}" for _ in range(rnd.randint(1, 6)))) for i in range(60)]
+    want = None
+    for parts in ([rows], [rows[k::7] for k in range(7)], [rows[k::7] for k in reversed(range(7))]):
+        index = line_dedup.LineRuns(spark, min_docs=5, fanout=3)
+        for part in parts:
+            index.add(frame(spark, part))
+        got = sorted(bytes(r[0]) for r in index.common().collect())
+        assert want in (None, got) and len(set(got)) == len(got)
+        want = got
+        assert index.merges == (2 if len(parts) == 7 else 0)
+    assert want
+
+
+def test_line_dedup_compacts_on_its_way(spark, monkeypatch):
+    held = []
+    add = line_dedup.LineRuns.add_counts
+    monkeypatch.setattr(line_dedup.LineRuns, "add_counts", lambda self, counts: (held.append(self), add(self, counts))[1])
+    line_dedup.line_dedup(frame(spark, [(i, "x") for i in range(20)]))
+    assert held[0].merges >= 1 and len(held) > held[0].fanout
+
+
+@pytest.mark.parametrize("limit", [1000, 0], ids=["broadcast", "joined"])
+def test_line_dedup_keeps_columns_of_any_name(spark, limit):
+    rows = [(i, "same\nown %d" % i, i, i, "k", 7) for i in range(4)]
+    df = frame(spark, rows, "doc_id long, text string, id int, drop int, key string, batch int")
+    found = line_dedup.line_dedup(df, min_docs=4, broadcast_keys=limit)
+    assert sorted(map(tuple, found.select(*df.columns).collect())) == [(i, "own %d" % i, i, i, "k", 7) for i in range(4)]
 
 
 def test_line_dedup_of_nothing_and_of_clashing_columns(spark):
