@@ -139,6 +139,32 @@ def test_substring_dedup_of_nothing_and_null_ids(spark):
     assert kept == {None: 0, 5: 0, 7: 60}
 
 
+@pytest.mark.parametrize("batches", [1, 7])
+def test_number_of_batches_does_not_matter(spark, monkeypatch, batches):
+    """Passages that sit in part and as a whole in earlier and later batches."""
+    held = []
+    look_up = substring_dedup.FingerprintIndex.look_up
+    monkeypatch.setattr(substring_dedup.FingerprintIndex, "look_up", lambda self, part: (held.append(self), look_up(self, part))[1])
+    rnd = random.Random(3)
+    passages = [[f"p{k}x{i}" for i in range(30)] for k in range(4)]
+    rows = []
+    for i in range(70):
+        words = [f"u{i}x{j}" for j in range(rnd.randint(0, 20))]
+        p = rnd.choice(passages)
+        a = rnd.randint(0, 15)
+        rows.append((rnd.randint(0, 10**6), " ".join(words + p[a : a + rnd.randint(10, 30)] + words[:5] + rnd.choice(passages)[:14])))
+    found = substring_dedup.substring_dedup(frame(spark, rows), 12, 3, batches, fanout=3).collect()
+    assert {r["doc_id"]: (r["n_words"], r["n_removed"], r["text"]) for r in found} == substrings_of(rows, 12)
+    assert len(held) == batches and held[0].merges == (2 if batches == 7 else 0)
+
+
+def test_substring_dedup_keeps_columns_of_any_name(spark):
+    rows = [(i, "a b c d e f g h", i, 5, "x", 3) for i in range(3)]
+    df = frame(spark, rows, "doc_id long, text string, row long, begins int, of_doc string, batch int")
+    found = substring_dedup.substring_dedup(df, 4, 2)
+    assert sorted(map(tuple, found.select(*df.columns).collect())) == [(i, "" if i else "a b c d e f g h", i, 5, "x", 3) for i in range(3)]
+
+
 # ---- fingerprints
 
 
