@@ -6,7 +6,9 @@ the join are packed: documents are dealt into blocks, each block sends its disti
 n-grams to their hash partitions as sorted delta-coded arrays with counts, each
 partition adds up its table and answers every block with the totals in the order
 asked, and the block looks its n-grams up there and sums per document.  The join
-is the same, on (partition, hash), with one row for each block and partition.
+is the same, on (partition, hash), with one row for each block and partition.  The
+lengths of n-grams are counted one after the other, each answer is written, and
+what a length has shuffled goes before the next one.
 
 A word is scored by the n-gram of ``order`` words that it ends: if that was seen at
 least ``least`` times, the score is its count / the count of its words before the
@@ -36,6 +38,8 @@ from signpart.llm.arrowmap import arrow_map
 #: Bytes of text in a block, and distinct n-grams of a hash partition, about.
 BLOCK_BYTES, PARTITION_GRAMS = 12 << 20, 3_000_000
 LEAST, BACKOFF = 2, 0.4
+#: Words of the longest n-gram.
+ORDER = 3
 
 _ASKED = "block int, kind int, part int, grams binary, counts binary"
 _ANSWER = "block int, kind int, part int, totals binary"
@@ -49,18 +53,17 @@ def _from_numbers(data: bytes) -> np.ndarray:
     return np.frombuffer(zlib.decompress(data[:-1]), "<u8" if data[-1:] == b"8" else "<u4").astype(np.int64)
 
 
-def _hashes(col: pa.Array, order: int) -> tuple[list[np.ndarray], np.ndarray]:
-    """(hashes of the n-grams by n - 1, first word of each row); n-gram i starts at word i, also if it runs over the end of its row."""
-    grams: list[list[np.ndarray]] = [[np.zeros(0, np.uint64)] for _ in range(order)]
+def _hashes(col: pa.Array, orders: range) -> tuple[list[np.ndarray], np.ndarray]:
+    """(hashes of the n-grams of each length, first word of each row); n-gram i starts at word i, also if it runs over the end of its row."""
+    grams: list[list[np.ndarray]] = [[np.zeros(0, np.uint64)] for _ in orders]
     first = [np.zeros(1, np.int64)]
     for _, _, data, offsets in hashing.chunks(col):
         start, end, f = hashing.word_spans(data, offsets)
         w = hashing.span_hashes(data, start, end)
-        grams[0].append(w)
-        for n in range(2, order + 1):
+        for n, found in zip(orders, grams):
             at = np.arange(max(0, len(w) - n + 1))
-            g = hashing.run_hashes(w, at, at + n) if len(at) else np.zeros(0, np.uint64)
-            grams[n - 1].append(np.append(g, np.zeros(len(w) - len(g), np.uint64)))
+            g = w if n == 1 else hashing.run_hashes(w, at, at + n) if len(at) else np.zeros(0, np.uint64)
+            found.append(np.append(g, np.zeros(len(w) - len(g), np.uint64)))
         first.append(first[-1][-1] + f[1:])
     return [np.concatenate(g) for g in grams], np.concatenate(first)
 
@@ -70,7 +73,7 @@ def _inner(first: np.ndarray, n: int) -> np.ndarray:
     return np.arange(first[-1]) + n <= np.repeat(first[1:], np.diff(first))
 
 
-def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF, order: int = 2) -> DataFrame:
+def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF, order: int = ORDER) -> DataFrame:
     """(doc_id, n_words, n_backoff, log_score, score) of every document, by n-grams of up to ``order`` words."""
     if order < 1:
         raise ValueError(f"order {order} is less than one word")
@@ -91,24 +94,24 @@ def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF, ord
     width = np.uint64(-(-(1 << 64) // parts)) if parts > 1 else None
     dealt = plain.withColumn("block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("int"))
 
-    def ask(table: pa.Table) -> pa.Table:
-        col = table.column("text").combine_chunks()
-        block = table.column("block")[0].as_py()
-        grams, first = _hashes(col, order)
-        rows: list[tuple] = []
-        for kind, keys in enumerate(grams, 1):
+    def asking(kind: int):
+        def ask(table: pa.Table) -> pa.Table:
+            col, block = table.column("text").combine_chunks(), table.column("block")[0].as_py()
+            (keys,), first = _hashes(col, range(kind, kind + 1))
             found, n = np.unique(keys[_inner(first, kind)], return_counts=True)
             where = (found // width).astype(np.int64) if parts > 1 else np.zeros(len(found), np.int64)
             cuts = np.searchsorted(where, np.arange(parts + 1))
-            rows += [(block, kind, p, packed_keys.packed(found[a:b]), _numbers(n[a:b])) for p, (a, b) in enumerate(zip(cuts, cuts[1:])) if b > a]
-        return pa.table([pa.array(c, t) for c, t in zip(zip(*rows) if rows else ((),) * 5, (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary()))], names=["block", "kind", "part", "grams", "counts"])
+            rows = [(block, kind, p, packed_keys.packed(found[a:b]), _numbers(n[a:b])) for p, (a, b) in enumerate(zip(cuts, cuts[1:])) if b > a]
+            return pa.table([pa.array(c, t) for c, t in zip(zip(*rows) if rows else ((),) * 5, (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary()))], names=["block", "kind", "part", "grams", "counts"])
+
+        return ask
 
     def answer(table: pa.Table) -> pa.Table:
         grams = [packed_keys.unpacked(x) for x in table.column("grams").to_pylist()]
         keys = np.concatenate(grams)
         counts = np.concatenate([_from_numbers(x) for x in table.column("counts").to_pylist()])
-        order = np.argsort(keys, kind="stable")
-        keys, counts = keys[order], counts[order]
+        rank = np.argsort(keys, kind="stable")
+        keys, counts = keys[rank], counts[rank]
         head = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
         keys, sums = keys[head], np.add.reduceat(counts, head)
         totals = [_numbers(sums[np.searchsorted(keys, g)]) for g in grams]
@@ -118,7 +121,7 @@ def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF, ord
         held: dict[int, list] = {kind: [] for kind in range(1, order + 1)}
         for r in sorted(answers.select(["kind", "part", "totals"]).to_pylist(), key=lambda r: r["part"]):
             held[r["kind"]].append(_from_numbers(r["totals"]))
-        grams, first = _hashes(texts.column("text").combine_chunks(), order)
+        grams, first = _hashes(texts.column("text").combine_chunks(), range(1, order + 1))
         value, back, shorter = np.zeros(0), np.zeros(first[-1], dtype=np.int64), np.zeros(0)
         for kind, keys in enumerate(grams, 1):
             ok = _inner(first, kind)
@@ -144,8 +147,12 @@ def lm_scores(docs: DataFrame, least: int = LEAST, backoff: float = BACKOFF, ord
             names=["doc_id", "n_words", "n_backoff", "log_score", "score"],
         )
 
-    asked = dealt.groupBy("block").applyInArrow(ask, _ASKED)
-    answers = asked.groupBy("kind", "part").applyInArrow(answer, _ANSWER)
+    folder = store.shared_folder(docs.sparkSession)
+    answers = None
+    for kind in range(1, order + 1):
+        asked = dealt.groupBy("block").applyInArrow(asking(kind), _ASKED)
+        found = store.written(asked.groupBy("kind", "part").applyInArrow(answer, _ANSWER), f"{folder}/{kind}")
+        answers = found if answers is None else answers.unionByName(found)
     out = f"doc_id {docs.schema['doc_id'].dataType.simpleString()}, n_words long, n_backoff long, log_score double, score double"
     return dealt.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(score, out)
 
@@ -160,15 +167,26 @@ with docs as (
   select doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') as words from documents
 ), listed as (
   select doc_id, unnest(words) as w, generate_subscripts(words, 1) as pos from docs
-), pairs as (
-  select doc_id, pos, w, lag(w) over (partition by doc_id order by pos) as before from listed
+), grams as (
+  select doc_id, w, lag(w) over (partition by doc_id order by pos) as v, lag(w, 2) over (partition by doc_id order by pos) as u from listed
 ), one as (select w, count(*) as n from listed group by w),
-two as (select before, w, count(*) as n from pairs where before is not null group by 1, 2),
+two as (select v, w, count(*) as n from grams where v is not null group by 1, 2),
+three as (select u, v, w, count(*) as n from grams where u is not null group by 1, 2, 3),
 total as (select count(*)::double as n from listed),
-scored as (
-  select doc_id, case when p.before is null then c.n / total.n when two.n >= 2 then two.n / b.n::double else 0.4::double * (c.n / total.n) end as s,
-         case when p.before is not null and two.n < 2 then 1 else 0 end as back
-  from pairs p join one c on c.w = p.w left join one b on b.w = p.before left join two on two.before = p.before and two.w = p.w, total
+shares as (
+  select g.doc_id, g.u, g.v, c.n / total.n as p1, b.n as seen2, b.n / cv.n::double as p2, t.n as seen3, t.n / bu.n::double as p3
+  from grams g join one c on c.w = g.w left join one cv on cv.w = g.v
+  left join two b on b.v = g.v and b.w = g.w left join two bu on bu.v = g.u and bu.w = g.v
+  left join three t on t.u = g.u and t.v = g.v and t.w = g.w, total
+), scored as (
+  select doc_id,
+         case when u is not null and seen3 >= 2 then p3
+              when v is not null and seen2 >= 2 then p2 * case when u is null then 1.0::double else 0.4::double end
+              else p1 * case when v is null then 1.0::double when u is null then 0.4::double else 0.4::double * 0.4::double end end as s,
+         case when u is not null and seen3 >= 2 then 0
+              when v is not null and seen2 >= 2 then case when u is null then 0 else 1 end
+              else case when v is null then 0 when u is null then 1 else 2 end end as back
+  from shares
 ), sums as (select doc_id, count(*) as n, sum(back)::bigint as back, sum(ln(s)) as l from scored group by doc_id)
 select d.doc_id, coalesce(n, 0)::bigint as n_words, coalesce(back, 0)::bigint as n_backoff, round(l / n, 6) as score
 from docs d left join sums s on s.doc_id = d.doc_id

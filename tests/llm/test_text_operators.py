@@ -321,7 +321,7 @@ def test_stupid_backoff(spark):
     words = {i: WORD.findall(t or "") for i, t in rows}
     one, two = Counter(x for w in words.values() for x in w), Counter(p for w in words.values() for p in zip(w, w[1:]))
     total = sum(one.values())
-    found = {r["doc_id"]: r for r in lm_score.lm_scores(frame(spark, rows)).collect()}
+    found = {r["doc_id"]: r for r in lm_score.lm_scores(frame(spark, rows), order=2).collect()}
     for i, w in words.items():
         logs, back = [], 0
         for k, x in enumerate(w):
@@ -336,8 +336,11 @@ def test_stupid_backoff(spark):
         assert (found[i]["score"] is None) if not w else math.isclose(found[i]["score"], sum(logs) / len(w), rel_tol=1e-9)
 
 
-@pytest.mark.parametrize("order", [1, 3, 5])
-def test_stupid_backoff_of_any_order(spark, order):
+@pytest.mark.parametrize("order,block,part", [(1, 1 << 20, 1000), (3, 1 << 20, 1000), (3, 150, 40), (5, 400, 90)])
+def test_stupid_backoff_of_any_order(spark, monkeypatch, order, block, part):
+    """In one block and partition, and in several of each."""
+    monkeypatch.setattr(lm_score, "BLOCK_BYTES", block)
+    monkeypatch.setattr(lm_score, "PARTITION_GRAMS", part)
     rnd = random.Random(4)
     rows = [(i, " ".join(rnd.choice("abc") for _ in range(rnd.randint(0, 30)))) for i in range(25)] + [(100 + i, t) for i, t in enumerate(ODD)]
     words = {i: WORD.findall(t or "") for i, t in rows}
@@ -359,6 +362,13 @@ def test_stupid_backoff_of_any_order(spark, order):
         assert (r["score"] is None) if not w else math.isclose(r["score"], sum(math.log(s) for s, _ in each) / len(w), rel_tol=1e-9)
 
 
+def test_scores_of_nothing_of_repeated_rows_and_of_clashing_columns(spark):
+    assert lm_score.lm_scores(frame(spark, [])).count() == 0
+    rows = [(1, "a b a b", 5, 1, "x"), (1, "a b a b", 5, 1, "x"), (None, "a b", 6, 2, "y"), (None, None, 6, 2, "y")]
+    found = lm_score.lm_scores(frame(spark, rows, "doc_id long, text string, block int, n_words int, part string")).collect()
+    assert sorted((r["doc_id"] or 0, r["n_words"], r["n_backoff"], r["score"] is None) for r in found) == [(0, 0, 0, True), (0, 2, 0, False), (1, 4, 0, False), (1, 4, 0, False)]
+
+
 def test_packed_keys_round_trip():
     import numpy as np
 
