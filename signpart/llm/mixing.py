@@ -66,8 +66,9 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share:
     """
     kept = [c for c in docs.columns if c.lower() not in _ADDED]
     sized = docs.select(*kept, word_count(F.col("text")).alias("size"))
-    targets = source_targets(sized.select("source", "size"), weights, share, most_repeats).withColumnRenamed("source", "__source")
-    joined = sized.join(targets, F.col("source").eqNullSafe(F.col("__source"))).drop("__source")
+    (of_,) = store.free_names(sized, "of_source")
+    targets = source_targets(sized.select("source", "size"), weights, share, most_repeats).withColumnRenamed("source", of_)
+    joined = sized.join(targets, F.col("source").eqNullSafe(F.col(of_))).drop(of_)
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     digest = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
     chance = F.conv(F.substring(digest, 1, 13), 16, 10).cast("long") / F.lit(float(1 << 52))
@@ -78,7 +79,8 @@ def mix_sources(docs: DataFrame, weights: tuple[float, ...] = (5, 2, 1), share:
 
 def repeated(mixed: DataFrame, columns: list[str]) -> DataFrame:
     """Each document ``copies`` times."""
-    return mixed.where("copies > 0").withColumn("__copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select(*columns)
+    (copy_,) = store.free_names(mixed, "copy")
+    return mixed.where("copies > 0").withColumn(copy_, F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select(*columns)
 
 
 def op3_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,14 +2,16 @@
 
 Only the number of pieces of each length (1 … capacity) decides how sequences are
 filled, so the plan is made from that histogram, whose size does not depend on the
-data.  Sums of one, two and three available lengths are indexed; a gap is closed
-by a combination that fills it exactly, as often as the counts allow; what has no
-exact complement is placed by best fit.  The plan is a list of patterns (a tuple
-of lengths and how many sequences use it).
+data.  An index by sum holds the single lengths and the pairs of lengths, and finds
+triples as a length and a pair; a gap is closed by a combination that fills it
+exactly, as often as the counts allow, and a combination goes from the index when a
+length of it is used up.  What has no exact complement is placed by best fit.  The
+plan is a list of patterns (a tuple of lengths and how many sequences use it).
 
 Pieces get a rank among those of their length, and an interval join with the
 pattern table turns the rank into a sequence and an offset.  Ranks come from
-salted groups, so a length that holds most pieces is spread over many tasks.
+salted groups of bounded size, so a length that holds most pieces is spread over
+many tasks.
 
 Defined cases: a null or empty text is the end mark alone; longer documents are
 cut so that all pieces but the first have full length; repeated doc_ids are
@@ -21,9 +23,10 @@ input other than doc_id and text are ignored.
 from __future__ import annotations
 
 import json
+import logging
 import zlib
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -36,8 +39,10 @@ from signpart.llm.arrowmap import arrow_map
 
 END_ID = 2
 CAPACITY = 1024
-#: Groups that pieces of one length are ranked in.
-SALTS = 64
+#: Groups that pieces of one length are ranked in at least, and pieces of a group beyond which there are more groups.
+SALTS, GROUP_ROWS = 64, 500_000
+
+_log = logging.getLogger(__name__)
 
 
 class Encoder:
@@ -81,8 +86,8 @@ class Encoder:
         if self.fast is not None:
             try:
                 return self.fast.encode_to_numpy(text, allowed_special="all")
-            except Exception:  # the split rule gave up on this text; the other library has no such limit
-                pass
+            except Exception as error:  # the split rule gave up on this text; the other library has no such limit
+                _log.warning("a text of %d characters goes to the slower encoder: %s", len(text), error)
         return np.asarray(self.slow.encode(text, add_special_tokens=False).ids, dtype=np.uint32)
 
 
@@ -109,83 +114,109 @@ def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, end_i
     return docs.select("doc_id", "text").transform(arrow_map, cut, out)
 
 
+class SumIndex:
+    """Combinations of one, two or three available lengths by their sum; ``left`` holds how many there are of each length."""
+
+    def __init__(self, counts: dict[int, int], capacity: int):
+        self.left = [0] * (capacity + 1)
+        for length, n in counts.items():
+            self.left[length] = n
+        self.lengths = np.asarray(sorted((x for x, n in counts.items() if n), reverse=True), dtype=np.int64)
+        large, small = self.lengths[:, None], self.lengths[None, :]
+        i, j = np.nonzero((large >= small) & (large + small <= capacity))
+        total = self.lengths[i] + self.lengths[j]
+        order = np.argsort(total, kind="stable")  # within a sum the largest length comes first
+        ends = np.searchsorted(total[order], np.arange(capacity + 2))
+        large, small = self.lengths[i[order]].tolist(), self.lengths[j[order]].tolist()
+        #: The pairs of each sum, the best last, so that a used-up pair is popped.
+        self.pairs = [list(zip(large[a:b], small[a:b]))[::-1] for a, b in zip(ends, ends[1:])]
+        self.singles = self.lengths.tolist()[::-1]
+
+    def _has(self, *lengths: int) -> bool:
+        return all(self.left[x] >= lengths.count(x) for x in lengths)
+
+    def pair(self, total: int) -> tuple[int, int] | None:
+        """The available pair with this sum that has the largest length."""
+        of_sum = self.pairs[total]
+        while of_sum and not self._has(*of_sum[-1]):  # counts only fall: it never comes back
+            of_sum.pop()
+        return of_sum[-1] if of_sum else None
+
+    def exact(self, gap: int) -> tuple[int, ...] | None:
+        """Available lengths with exactly this sum, of as few and as large as there are."""
+        if self.left[gap]:
+            return (gap,)
+        two = self.pair(gap)
+        if two:
+            return two
+        while self.singles and not self.left[self.singles[-1]]:
+            self.singles.pop()
+        for a in reversed(self.singles):
+            if a > gap - 2 or not self.left[a]:
+                continue
+            if 3 * a < gap:  # the largest of three is a third at least
+                break
+            for b, c in reversed(self.pairs[gap - a]):
+                if b <= a and self._has(a, b, c):
+                    return a, b, c
+        return None
+
+    def largest(self, gap: int) -> int | None:
+        """The largest available length that fits."""
+        return next((x for x in range(gap, 0, -1) if self.left[x]), None)
+
+    def take(self, lengths: Iterable[int], times: int = 1) -> None:
+        for x in lengths:
+            self.left[x] -= times
+
+
 def fill_plan(counts: dict[int, int], capacity: int = CAPACITY) -> list[tuple[tuple[int, ...], int]]:
     """Patterns (lengths, number of sequences) that use every piece once.
 
-    Works on counts per length: the longest length left opens sequences; its gap
-    is closed exactly by one, two or three available lengths if their sums are
-    indexed, else best fit puts in the longest that fits, and so on.  Each pattern
-    is repeated as often as the counts allow, so the number of patterns is bounded
-    by the capacity, not by the number of pieces.
+    The longest length left opens sequences; its gap is closed exactly by a
+    combination of the index, else best fit puts in the longest that fits, and so
+    on.  Each pattern is repeated as often as the counts allow, so the number of
+    patterns is bounded by the capacity, not by the number of pieces.
     """
-    left = np.zeros(capacity + 1, dtype=np.int64)
-    for length, n in counts.items():
-        left[length] = n
+    index = SumIndex(counts, capacity)
     plan: Counter[tuple[int, ...]] = Counter()
-
-    def exact(gap: int) -> tuple[int, ...] | None:
-        """Available lengths with exactly this sum, the longest first."""
-        if left[gap]:
-            return (gap,)
-        here = np.flatnonzero(left[: gap + 1])
-        here = here[here > 0]
-        if not len(here):
-            return None
-        pair_with = gap - here
-        ok = (pair_with > 0) & (left[pair_with] > 0) & (here >= pair_with) & ((here != pair_with) | (left[here] > 1))
-        if ok.any():
-            a = int(here[ok][-1])
-            return (a, gap - a)
-        for a in here[::-1]:
-            rest = gap - int(a)
-            if rest < 2:
-                continue
-            left[a] -= 1
-            two = here[here <= min(int(a), rest - 1)]
-            other = rest - two
-            fits = (left[two] > 0) & (left[other] > 0) & (two >= other) & (other > 0) & ((two != other) | (left[two] > 1))
-            left[a] += 1
-            if fits.any():
-                b = int(two[fits][-1])
-                return (int(a), b, rest - b)
-        return None
-
-    length = capacity
-    while length:
-        if not left[length]:
-            length -= 1
-            continue
-        used, gap = [length], capacity - length
-        left[length] -= 1
-        while gap:
-            closing = exact(gap)
-            if closing is None:
-                fitting = np.flatnonzero(left[1 : gap + 1])
-                if not len(fitting):
-                    break
-                closing = (int(fitting[-1]) + 1,)
-            for x in closing:
-                left[x] -= 1
-            used += closing
-            gap -= sum(closing)
-        need = Counter(used)
-        more = min(int(left[x]) // k for x, k in need.items())
-        for x, k in need.items():
-            left[x] -= more * k
-        plan[tuple(used)] += 1 + more
+    for length in index.lengths.tolist():
+        while index.left[length]:
+            used, gap = [length], capacity - length
+            index.take(used)
+            while gap:
+                closing = index.exact(gap)
+                if closing is None:
+                    best = index.largest(gap)
+                    if best is None:
+                        break
+                    closing = (best,)
+                index.take(closing)
+                used += closing
+                gap -= sum(closing)
+            need = Counter(used)
+            more = min(index.left[x] // k for x, k in need.items())
+            index.take(used, more)
+            plan[tuple(used)] += 1 + more
     return list(plan.items())
 
 
-def pack(cut: DataFrame, capacity: int = CAPACITY, salts: int = SALTS) -> DataFrame:
+def pack(cut: DataFrame, capacity: int = CAPACITY, salts: int = SALTS, group_rows: int = GROUP_ROWS) -> DataFrame:
     """cut with ``sequence_id`` and ``offset``; cut is read more than once, so it should be a written table."""
     spark = cut.sparkSession
-    salted = cut.withColumn("__salt", F.pmod(F.xxhash64("doc_id", "piece", "start"), F.lit(salts)).cast("int"))
-    groups = salted.groupBy("length", "__salt").agg(F.count(F.lit(1)).alias("n")).collect()  # at most capacity * salts rows
-    counts: Counter[int] = Counter()
+    counts = {r["length"]: r["count"] for r in cut.groupBy("length").count().collect()}  # at most capacity rows
+    if not counts:
+        return cut.withColumns({"sequence_id": F.lit(0).cast("long"), "offset": F.lit(0).cast("long")})
+    salt_, in_, first_, rank_, from_, to_, seq_, length_, offset_ = store.free_names(cut, "salt", "place", "first", "rank", "begin", "stop", "sequence", "of_length", "at")
+    more = {x: -(-n // group_rows) for x, n in counts.items() if n > salts * group_rows}
+    groups_of = F.coalesce(F.element_at(F.create_map(*(F.lit(v) for pair in more.items() for v in pair)), F.col("length")), F.lit(salts)) if more else F.lit(salts)
+    salted = cut.withColumn(salt_, F.pmod(F.xxhash64("doc_id", "piece", "start"), groups_of).cast("long"))
+    groups = salted.groupBy("length", salt_).agg(F.count(F.lit(1)).alias("n")).collect()  # at most salts for each length, and pieces / group_rows
+    used: Counter[int] = Counter()
     first = []
-    for g in sorted(groups, key=lambda g: (g["length"], g["__salt"])):
-        first.append((g["length"], g["__salt"], counts[g["length"]]))
-        counts[g["length"]] += g["n"]
+    for length, salt, n in sorted(map(tuple, groups)):
+        first.append((length, salt, used[length]))
+        used[length] += n
 
     slots, base, used = [], 0, Counter()
     for lengths, n in fill_plan(counts, capacity):
@@ -195,19 +226,13 @@ def pack(cut: DataFrame, capacity: int = CAPACITY, salts: int = SALTS) -> DataFr
             used[x] += n
             offset += x
         base += n
-
-    if not first:
-        return cut.withColumns({"sequence_id": F.lit(0).cast("long"), "offset": F.lit(0).cast("long")})
-    # Both tables are bounded by the capacity; slots are looked up in an array per length.
-    starts = F.broadcast(spark.createDataFrame(first, "length long, __salt int, __first long"))
-    per_length: dict[int, list] = {}
-    for x, a, b, seq, offset in slots:
-        per_length.setdefault(x, []).append((a, b, seq, offset))
-    table = F.broadcast(spark.createDataFrame([(x, p[0], p[1], p[2], p[3]) for x, ps in per_length.items() for p in ps], "length long, __from long, __to long, __seq long, offset long"))
-    rank = F.row_number().over(Window.partitionBy("length", "__salt").orderBy("doc_id", "piece", "start")) - 1
-    ranked = salted.withColumn("__in", rank).join(starts, ["length", "__salt"]).withColumn("__rank", F.col("__first") + F.col("__in"))
-    placed = ranked.join(table, (ranked["length"] == table["length"]) & (F.col("__rank") >= F.col("__from")) & (F.col("__rank") < F.col("__to"))).drop(table["length"])
-    return placed.select(*cut.columns, (F.col("__seq") + F.col("__rank") - F.col("__from")).alias("sequence_id"), F.col("offset"))
+    starts = F.broadcast(spark.createDataFrame(first, f"{length_} long, {salt_} long, {first_} long"))
+    table = F.broadcast(spark.createDataFrame(slots, f"{length_} long, {from_} long, {to_} long, {seq_} long, {offset_} long"))
+    order = Window.partitionBy("length", salt_).orderBy("doc_id", "piece", "start")
+    ranked = salted.withColumn(in_, F.row_number().over(order) - 1)
+    ranked = ranked.join(starts, (ranked["length"] == starts[length_]) & (ranked[salt_] == starts[salt_])).drop(starts[length_], starts[salt_]).withColumn(rank_, F.col(first_) + F.col(in_))
+    placed = ranked.join(table, (F.col("length") == F.col(length_)) & (F.col(rank_) >= F.col(from_)) & (F.col(rank_) < F.col(to_)))
+    return placed.select(*cut.columns, (F.col(seq_) + F.col(rank_) - F.col(from_)).alias("sequence_id"), F.col(offset_).alias("offset"))
 
 
 def pack_documents(docs: DataFrame, tokenizer_path: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
