@@ -289,6 +289,44 @@ def excluded_pairs(spark: SparkSession, d: str) -> DataFrame:
     return predicates.excluded(edges, labels, predicates.exclusions(active, labels))
 
 
+def _certified(name: str, make) -> None:
+    """The certificate of a labeling that is too large for a replay."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        edges = tables.written(make(spark, d))
+        return predicates.certificate(edges, tables.written(partition.partition(edges).labels))
+
+    QUERIES[name], ORACLES[name] = run, _NO_VIOLATION
+
+
+for _name, _make in (("part_supplier", workloads.part_supplier), ("customer_supplier", workloads.customer_supplier), ("vector_ring", workloads.vector_ring), ("shared_lines", workloads.shared_lines), ("event_grid", workloads.event_grid)):
+    _certified(f"sgp_certificate_{_name}", _make)
+
+
+@_query("certificate_rejects", "select true as rejected")
+def certificate_rejects(spark: SparkSession, d: str) -> DataFrame:
+    """The contraction's labels aren't the partition's, and the certificate says so."""
+    edges = tables.written(workloads.places(spark, d))
+    other = tables.written(multicut.by_components(edges))
+    return predicates.certificate(edges, other).agg((F.sum("n") > 0).alias("rejected"))
+
+
+_BAD_COUNT = f"with recursive ways as (select u as a, v as b from ({_EXAMPLE}) where w > 0 union all select v, u from ({_EXAMPLE}) where w > 0), met(a, b) as (select a, b from ways union select m.a, w.b from met m join ways w on m.b = w.a) select count(*)::bigint as violations, count(*) = 0 as consistent from ({_EXAMPLE}) e where e.w < 0 and exists (select 1 from met where met.a = e.u and met.b = e.v)"
+
+
+@_query("inconsistent_example", _BAD_COUNT)
+def inconsistent_example(spark: SparkSession, d: str) -> DataFrame:
+    """All edges at once, which no partition has."""
+    return predicates.is_consistent(workloads.example(spark))
+
+
+@_query("cover_missing", _BAD_COUNT.replace("select count(*)::bigint as violations, count(*) = 0 as consistent", "select count(*) = 0 as covered"))
+def cover_missing(spark: SparkSession, d: str) -> DataFrame:
+    """No edge is left out, so no bad cycle is covered."""
+    edges = workloads.example(spark)
+    return predicates.covers_bad_cycles(edges, edges.select("edge_id", F.lit(0).alias("x")))
+
+
 @_query("consistency_nation", "select 0::bigint as violations, true as consistent")
 def consistency_nation(spark: SparkSession, d: str) -> DataFrame:
     return predicates.is_consistent(partition.partition(workloads.places(spark, d)).active().where("active = 1"))
@@ -482,8 +520,31 @@ def active_energy(spark: SparkSession, d: str) -> DataFrame:
 
 @_query("dominant_power_check", "select p, p = 8 as dominant from (values (7), (8)) t(p)")
 def dominant_power_check(spark: SparkSession, d: str) -> DataFrame:
-    edges = workloads.example(spark)
-    return objective.is_dominant_power(edges, 7).unionByName(objective.is_dominant_power(edges, 8))
+    return objective.is_dominant_power(workloads.example(spark), 7, 8)
+
+
+_LEVEL_CHAIN = f"""
+with recursive e as (select * from ({_REGION})),
+l as (select abs(w) as s, count(*) as n, row_number() over (order by abs(w)) as k from e group by abs(w)),
+chain(p, k, share, total) as (
+  select p, k, 0::double, n::double from l, (select unnest(range(1, 257)) as p) where k = 1
+  union all
+  select c.p, b.k, c.total * pow(a.s / b.s, c.p), c.total * pow(a.s / b.s, c.p) + b.n from chain c join l a on a.k = c.k join l b on b.k = c.k + 1
+),
+judged as (select p::int as p, max(share) < 1 and (select max(n) from l) = 1 as dominant from chain group by p)
+"""
+
+
+@_query("dominant_power_region", _LEVEL_CHAIN + "select p, dominant from judged where p in (1, 2, 4, 8, 16, 32, 64, 128, 256)")
+def dominant_power_region(spark: SparkSession, d: str) -> DataFrame:
+    """Powers on both sides of the least dominant one."""
+    return objective.is_dominant_power(workloads.places(spark, d, "region"), 1, 2, 4, 8, 16, 32, 64, 128, 256)
+
+
+@_query("least_dominant_power_region", _LEVEL_CHAIN + "select min(p) as least from judged where dominant")
+def least_dominant_power_region(spark: SparkSession, d: str) -> DataFrame:
+    least = objective.min_dominant_power(tables.written(workloads.places(spark, d, "region")), 256)
+    return spark.createDataFrame([(least,)], "least int")
 
 
 @_query("lexi_compare", "select 'first' as better")
@@ -594,10 +655,14 @@ def grid_edges(spark: SparkSession, d: str) -> DataFrame:
 @_query("dice_loss", _RASTER + ", s as (select channel, attract, sum(p * t) as o, sum(p * p + t * t) as e from (select channel, attract, case when attract then 10000 - a else a end as p, 10000 * case when attract then 1 - target else target end as t from aff) group by 1, 2) select channel, attract, round(case when e > 0 then -o / e::double else 0 end, 9) as loss from s")
 def dice_loss(spark: SparkSession, d: str) -> DataFrame:
     """On whole ten-thousandths, so that sums don't depend on their order."""
-    made = _raster(spark, d)[0]
-    flip = lambda c: F.when(F.col("attract"), 10000 - c).otherwise(c)
-    sums = made.select("channel", "attract", flip(F.col("a")).alias("p"), flip(10000 * F.col("target")).alias("t")).groupBy("channel", "attract").agg(F.sum(F.col("p") * F.col("t")).alias("o"), F.sum(F.col("p") * F.col("p") + F.col("t") * F.col("t")).alias("e"))
-    return sums.select("channel", "attract", F.round(F.when(F.col("e") > 0, -F.col("o") / F.col("e")).otherwise(F.lit(0.0)), 9).alias("loss"))
+    made = _raster(spark, d)[0].select("channel", "attract", F.col("a").alias("p"), (10000 * F.col("target")).alias("target"))
+    return metrics.dice_loss(made, one=10000).withColumn("loss", F.round("loss", 9))
+
+
+@_query("dice_total", _RASTER + ", s as (select channel, sum(p * t) as o, sum(p * p + t * t) as e from (select channel, case when attract then 10000 - a else a end as p, 10000 * case when attract then 1 - target else target end as t from aff) group by 1) select round(sum(case when e > 0 then -o / e::double else 0 end), 6) as loss from s")
+def dice_total(spark: SparkSession, d: str) -> DataFrame:
+    made = _raster(spark, d)[0].select("channel", "attract", F.col("a").alias("p"), (10000 * F.col("target")).alias("target"))
+    return metrics.total_dice_loss(made, one=10000).select(F.round("loss", 6).alias("loss"))
 
 
 @_query("edge_losses", _RASTER + ", r as (select greatest(least(a / 10000::double, 1 - 1e-6::double), 1e-6::double) as q, a / 10000::double as p, target from aff) select round(avg(case when (p >= 0.5) <> (target = 1) then 1 else 0 end), 6) as error_rate, round(avg(-(target * ln(q) + (1 - target) * ln(1 - q))), 6) as cross_entropy, round(avg((p - target) * (p - target)), 6) as squared_error from r")

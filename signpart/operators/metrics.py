@@ -61,14 +61,19 @@ def seeds_per_region(seeds: DataFrame, truth: DataFrame) -> DataFrame:
     return truth.select("gt").where("gt is not null").distinct().join(found, "gt", "left").select("gt", F.coalesce("n", F.lit(0)).alias("n_seeds"))
 
 
-def dice_loss(rows: DataFrame) -> DataFrame:
-    """(channel, attract, loss) of (channel, attract, p, target): minus overlap over energy, of complements where it attracts; 0 if empty."""
-    flip = lambda c: F.when(F.col("attract"), 1 - F.col(c)).otherwise(F.col(c))
+def dice_loss(rows: DataFrame, one: float = 1) -> DataFrame:
+    """(channel, attract, loss) of (channel, attract, p, target) out of ``one``: minus overlap over energy, of complements where it attracts; 0 if empty."""
+    flip = lambda c: F.when(F.col("attract"), one - F.col(c)).otherwise(F.col(c))
     p, t = flip("p"), flip("target")
     sums = rows.groupBy("channel", "attract").agg(F.sum(p * t).alias("o"), F.sum(p * p + t * t).alias("e"))
     return sums.select("channel", "attract", F.when(F.col("e") > 0, -F.col("o") / F.col("e")).otherwise(F.lit(0.0)).alias("loss"))
 
 
+def total_dice_loss(rows: DataFrame, one: float = 1) -> DataFrame:
+    """One row: the losses of all channels, added up."""
+    return dice_loss(rows, one).agg(F.coalesce(F.sum("loss"), F.lit(0.0)).alias("loss"))
+
+
 def edge_losses(rows: DataFrame, eps: float = 1e-6) -> DataFrame:
     """One row: error rate at one half, mean cross-entropy, mean squared error of (p, target)."""
     p = F.greatest(F.least(F.col("p"), F.lit(1 - eps)), F.lit(eps))

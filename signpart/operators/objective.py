@@ -2,10 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from decimal import Context, Decimal, localcontext
+from fractions import Fraction
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
+from signpart import tables
 from signpart.functions.expressions import order_key
 from signpart.operators import components as comp
 
@@ -46,38 +51,128 @@ def level_sums(edges: DataFrame) -> DataFrame:
     return edges.groupBy(F.abs("w").alias("s")).agg(F.count(F.lit(1)).alias("n"))
 
 
-def dominant_power_margin(edges: DataFrame, p: int) -> DataFrame:
-    """One row: (p, ties, least_margin).
-
-    p is dominant if there are no ties and every |w|**p exceeds the sum of all
-    smaller ones.  In ratios to the own size nothing overflows: with r the ratio
-    of a level to the next larger one, S' = (S + n) * r**p.  The prefix sums run
-    over the table of distinct sizes, in ranges of equal counts: a partial sum per
-    range, then inside each.
+#: Distinct sizes that one task takes, decimal digits that it reckons with, and margins below which sizes are compared as integers.
+LEVELS_OF_A_TASK, DIGITS, CLOSE = 100_000, 60, Decimal(10) ** -45
+#: Sizes with so small a margin that are compared, and how many smaller ones are looked at for each at a time.
+EXACT_LEVELS, EXACT_STEP = 64, 4096
+
+
+def _steps(sizes: list[float], counts: list[int], p: int, share: Decimal) -> Iterator[tuple[Decimal, Decimal]]:
+    """For rising sizes: (sum of all smaller sizes, that sum and the size's own edges), both in units of size**p; ``share`` is the first."""
+    total, last = share, None
+    for size, n in zip(sizes, counts):
+        if last is not None:
+            share = total * (Decimal(last) / Decimal(size)) ** p
+        total = share + n
+        yield share, total
+        last = size
+
+
+def _exactly_larger(levels: DataFrame, size: float, p: int) -> bool:
+    """Whether size**p exceeds the sum over all smaller sizes, in integers: every double is a fraction with a power of two below."""
+    whole, below = size.as_integer_ratio()
+    left, bound = Fraction(whole**p, below**p), size
+    while True:
+        part = levels.where(F.col("s") < F.lit(bound)).orderBy(F.desc("s")).limit(EXACT_STEP).collect()
+        for r in part:
+            a, b = r["s"].as_integer_ratio()
+            left -= r["n"] * Fraction(a**p, b**p)
+            if left <= 0:
+                return False
+        if len(part) < EXACT_STEP:
+            return True
+        bound = part[-1]["s"]
+
+
+def _exact_context():
+    return localcontext(Context(prec=DIGITS, Emin=-(10**15), Emax=10**15))
+
+
+def _judged_powers(levels: DataFrame, powers: list[int]) -> list[tuple[int, int, float | None, bool]]:
+    """(p, ties, least margin, dominant) of each power, from the written table of sizes."""
+    n = levels.count()
+    if not n:
+        return [(p, 0, None, True) for p in powers]
+    ranges = -(-n // LEVELS_OF_A_TASK)
+    cuts = sorted(set(levels.stat.approxQuantile("s", [k / ranges for k in range(1, ranges)], 0.1 / ranges))) if ranges > 1 else []
+    of_range = F.lit(0)
+    for cut in cuts:
+        of_range = of_range + (F.col("s") > F.lit(cut)).cast("int")
+    ranged = levels.withColumn("k", of_range)
+    incoming: dict[tuple[int, int], str] = {(0, p): "0" for p in powers}
+
+    def ends(part: pd.DataFrame) -> pd.DataFrame:
+        part = part.sort_values("s")
+        sizes, counts, rows = part["s"].tolist(), part["n"].tolist(), []
+        with _exact_context():
+            for p in powers:
+                *_, (_, total) = _steps(sizes, counts, p, Decimal(0))
+                rows.append((int(part["k"].iloc[0]), p, sizes[0], sizes[-1], str((Decimal(sizes[0]) / Decimal(sizes[-1])) ** p), str(total)))
+        return pd.DataFrame(rows, columns=["k", "p", "low", "high", "factor", "total"])
+
+    if ranges > 1:
+        found = ranged.groupBy("k").applyInPandas(ends, "k int, p int, low double, high double, factor string, total string").collect()  # a row for each range and power
+        with _exact_context():
+            for p in powers:
+                total, last = Decimal(0), None
+                for r in sorted((r for r in found if r["p"] == p), key=lambda r: r["k"]):
+                    share = Decimal(0) if last is None else total * (Decimal(last) / Decimal(r["low"])) ** p
+                    incoming[r["k"], p] = str(share)
+                    total, last = share * Decimal(r["factor"]) + Decimal(r["total"]), r["high"]
+
+    def margins(part: pd.DataFrame) -> pd.DataFrame:
+        part = part.sort_values("s")
+        sizes, counts, rows = part["s"].tolist(), part["n"].tolist(), []
+        with _exact_context():
+            for p in powers:
+                found = [1 - share for share, _ in _steps(sizes, counts, p, Decimal(incoming[int(part["k"].iloc[0]), p]))]
+                close = [s for s, m in zip(sizes, found) if abs(m) < CLOSE]
+                rows.append((p, float(min(found)), any(m <= -CLOSE for m in found), sum(c > 1 for c in counts), close[: EXACT_LEVELS + 1]))
+        return pd.DataFrame(rows, columns=["p", "margin", "behind", "ties", "close"])
+
+    out, judged = ranged.groupBy("k").applyInPandas(margins, "p int, margin double, behind boolean, ties long, close array<double>").collect(), []
+    for p in powers:
+        mine = [r for r in out if r["p"] == p]
+        ties, close = sum(r["ties"] for r in mine), sorted(x for r in mine for x in r["close"])
+        dominant = not ties and not any(r["behind"] for r in mine)
+        if dominant and len(close) > EXACT_LEVELS:
+            raise ValueError(f"more than {EXACT_LEVELS} weights are within {CLOSE} of the sum of the smaller ones at power {p}")
+        judged.append((p, ties, min(r["margin"] for r in mine), dominant and all(_exactly_larger(levels, x, p) for x in close)))
+    return judged
+
+
+def dominant_power_margin(edges: DataFrame, *powers: int) -> DataFrame:
+    """(p, ties, least_margin, dominant) of each power.
+
+    p is dominant if no two edges weigh the same and every |w|**p exceeds the sum
+    of all smaller ones.  In units of the own size**p nothing overflows or gets
+    lost: with r the ratio of a size to the next larger one, the sum below the next
+    is (sum + n) * r**p.  That is a chain of affine steps, so ranges of sizes are
+    reckoned side by side, their ends are chained, and a second pass has the
+    margins inside each range.  Margins too small for the digits are settled in
+    integers.
     """
-    levels = level_sums(edges)
-    by_size = Window.orderBy("s").rowsBetween(Window.unboundedPreceding, -1)
-    # Scaled by the largest size: (s / top)**p underflows only where a level can't matter.
-    top = levels.agg(F.max("s")).first()[0] or 1.0
-    scaled = levels.withColumn("q", F.pow(F.col("s") / F.lit(float(top)), F.lit(p)))
-    below = scaled.withColumn("below", F.coalesce(F.sum(F.col("q") * F.col("n")).over(by_size), F.lit(0.0)))
-    return below.agg(F.sum(F.when(F.col("n") > 1, 1).otherwise(0)).alias("ties"), F.min(F.when(F.col("q") > 0, (F.col("q") - F.col("below")) / F.col("q"))).alias("least_margin")).select(F.lit(p).alias("p"), "ties", "least_margin")
-
-
-def is_dominant_power(edges: DataFrame, p: int) -> DataFrame:
-    """One row (p, dominant)."""
-    return dominant_power_margin(edges, p).select("p", (F.coalesce(F.col("ties") == 0, F.lit(True)) & F.coalesce(F.col("least_margin") > 0, F.lit(True))).alias("dominant"))
-
-
-def min_dominant_power(edges: DataFrame, limit: int = 1024) -> int | None:
-    """The least dominant power up to ``limit``, by bisection (a larger power stays dominant); None if there is none."""
-    test = lambda p: is_dominant_power(edges, p).first()["dominant"]
-    if not test(limit):
-        return None
-    low, high = 0, limit
-    while high - low > 1:
-        middle = (low + high) // 2
-        low, high = (low, middle) if test(middle) else (middle, high)
+    rows = _judged_powers(tables.written(level_sums(edges)), list(powers))
+    return edges.sparkSession.createDataFrame(rows, "p int, ties long, least_margin double, dominant boolean")
+
+
+def is_dominant_power(edges: DataFrame, *powers: int) -> DataFrame:
+    """(p, dominant) of each power."""
+    return dominant_power_margin(edges, *powers).select("p", "dominant")
+
+
+def min_dominant_power(edges: DataFrame, limit: int = 1024, at_once: int = 16) -> int | None:
+    """The least dominant power up to ``limit``, by search with several powers a pass (a larger power stays dominant); None if there is none."""
+    levels, low, high = tables.written(level_sums(edges)), 0, None
+    while high is None or high - low > 1:
+        top = limit if high is None else high - 1
+        tried = sorted({low + -(-(top - low) * k // at_once) for k in range(1, at_once + 1)})
+        judged = [(p, dominant) for p, _, _, dominant in _judged_powers(levels, tried)]
+        found = [p for p, dominant in judged if dominant]
+        if high is None and not found:
+            return None
+        high = min(found, default=high)
+        low = max((p for p, dominant in judged if not dominant), default=low)
     return high
 
 

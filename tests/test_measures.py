@@ -90,3 +90,31 @@ def test_log_odds_are_monotone_in_affinity(spark):
 
     rows = [log for (log,) in spark.range(1, 100).select(log_odds(F.col("id") / 100.0, F.lit(True))).collect()]
     assert rows == sorted(rows)
+
+
+def _least_power(sizes, limit=400):
+    """In integers."""
+    sizes = sorted(sizes)
+    for p in range(1, limit):
+        if all(sizes[k] ** p > sum(x**p for x in sizes[:k]) for k in range(len(sizes))):
+            return p
+    return None
+
+
+@pytest.mark.parametrize("sizes", [(100, 101, 102, 10**9), (1, 2, 3), (3, 4, 5), (1, 2, 4, 8, 16), (7,), (5, 6, 7, 8, 9), tuple(2**k for k in range(200))])
+@pytest.mark.parametrize("each", [100_000, 2])
+def test_least_dominant_power_is_exact(spark, monkeypatch, sizes, each):
+    """With sizes far apart, with equal sums, and in several ranges of sizes."""
+    if len(sizes) > 9 and each == 2:
+        pytest.skip("a hundred ranges")
+    monkeypatch.setattr(objective, "LEVELS_OF_A_TASK", each)
+    edges = graph.build(spark.createDataFrame([(k, k + 1, float(x if k % 2 else -x), 0) for k, x in enumerate(sizes)], "u long, v long, w double, channel int"))
+    p = _least_power(sizes)
+    assert objective.is_dominant_power(edges, p).first()["dominant"]
+    assert p == 1 or not objective.is_dominant_power(edges, p - 1).first()["dominant"]
+
+
+def test_ties_are_never_dominated(spark):
+    edges = graph.build(spark.createDataFrame([(0, 1, 5.0, 0), (1, 2, -5.0, 0)], "u long, v long, w double, channel int"))
+    assert not objective.is_dominant_power(edges, 100).first()["dominant"] and objective.min_dominant_power(edges, 64) is None
+    assert objective.is_dominant_power(edges.limit(0), 3).first()["dominant"]
