@@ -148,8 +148,9 @@ class FingerprintIndex:
         """The segments of a batch with ``whole``: whether an earlier batch, or a smaller document of this one, has the same segment."""
         mine = batch.groupBy("anchor", "g1", "g2").agg(F.min("doc_id").alias("least"))
         before = self.runs().select("anchor", "g1", "g2", F.col("doc_id").alias("before"))
-        known = mine.join(before.hint("merge"), ["anchor", "g1", "g2"], "left")
-        found = batch.join(known, ["anchor", "g1", "g2"])
+        # Written, so that the join below is one of two shuffles, of which Spark splits a key with very many rows.
+        known = store.written(mine.join(before.hint("merge"), ["anchor", "g1", "g2"], "left"), f"{self.folder}/known")
+        found = batch.join(known.hint("merge"), ["anchor", "g1", "g2"])
         return found.select(*batch.columns, (F.col("before").isNotNull() | (F.col("doc_id") > F.col("least"))).alias("whole"))
 
     def add(self, judged: DataFrame) -> None:
