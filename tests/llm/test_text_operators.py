@@ -8,6 +8,7 @@ from collections import Counter
 
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 from signpart.llm import language_id, line_dedup, lm_score, order_minhash, packed_keys, substring_dedup
 
@@ -296,6 +297,46 @@ def test_languages_are_told_and_letterless_texts_are_not(spark):
     assert all(0 <= r["score"] <= 1 for r in found.values())
 
 
+def test_languages_equal_a_plain_count(spark):
+    """Every prediction from sets of languages looked up n-gram by n-gram; and the held-out documents are told right."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text", "lang")
+    learned = docs.where(~language_id.held_out()).select(F.col("doc_id").alias("key"), "text", "lang")
+    model = language_id.fit(learned)
+    columns = [[int(w) for w in plane] for plane in model.table]
+    holds = lambda i, at: columns[i // 64][at] >> i % 64 & 1
+    chance = [(sum(holds(i, at) for at in range(1 << 16)) / (1 << 16)) ** 2 for i in range(len(model.languages))]
+
+    def plain(text):
+        if not any(c.isalpha() for c in text or ""):
+            return "und", 0.0
+        folded = [b + 32 if 65 <= b <= 90 else b if 97 <= b <= 122 or b >= 128 else 32 for b in text.encode()]
+        seen, hits = 0, [0] * len(chance)
+        for size in (3, 4):
+            for k in range(len(folded) - size + 1):
+                code = sum(b << 8 * i for i, b in enumerate(folded[k : k + size])) ^ size * 0x01000193
+                places = [code * odd % (1 << 32) >> 16 for odd in (0x9E3779B1, 0x85EBCA6B)]
+                seen += 1
+                for i in range(len(chance)):
+                    hits[i] += all(holds(i, at) for at in places)
+        real = [max(0.0, (h - seen * c) / (1 - c)) for h, c in zip(hits, chance)]
+        best = real.index(max(real))
+        return model.languages[best], max(real) / sum(real) if sum(real) else 0.0
+
+    some = [(k, t) for k, t in enumerate([*ODD, "A.", "é", "Zz", *(r["text"] for r in docs.orderBy("doc_id").limit(25).collect())])]
+    for r in language_id.predict(frame(spark, some), model).collect():
+        lang, score = plain(r["text"])
+        assert r["lang_pred"] == lang and math.isclose(r["score"], score, rel_tol=1e-9, abs_tol=1e-12)
+    told = [r["lang_pred"] == r["lang"] for r in language_id.predict(docs.where(language_id.held_out() & F.col("lang").isNotNull()), model).collect() if r["lang_pred"] != "und"]
+    assert len(told) > 200 and sum(told) / len(told) > 0.97
+
+
+def test_language_id_of_nothing_and_of_clashing_columns(spark):
+    assert language_id.identify(frame(spark, [], "doc_id long, text string, lang string")).count() == 0
+    rows = [(1, "the cat and the dog", "en", 1), (1, "the cat and the dog", "en", 1), (None, "der Hund und", "de", 2), (2, None, None, 3)]
+    found = language_id.identify(frame(spark, rows, "doc_id long, text string, lang string, Score int"))
+    assert found.count() == 4 and [c.lower() for c in found.columns].count("score") == 1
+
+
 def test_nothing_learned(spark):
     df = frame(spark, [(1, "some text", None)], "doc_id long, text string, lang string")
     assert [tuple(r)[-2:] for r in language_id.identify(df).collect()] == [("und", 0.0)]
