@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from signpart import tables, workloads
 from signpart.baselines import linkage, multicut, threshold, watershed
-from signpart.catalog.replay import labelings, reach, replay
+from signpart.catalog.replay import contraction, labelings, reach, replay
 from signpart.functions.expressions import order_key
 from signpart.operators import affinity, graph, hierarchy, metrics, objective, partition, predicates, raster, seeded
 
@@ -704,13 +704,32 @@ def smooth_map(spark: SparkSession, d: str) -> DataFrame:
     return raster.smooth(b, "b", 1, shape).select("pix", "s")
 
 
-@_query("regional_minima")
+_MINIMA = _SMOOTHED.replace("with ", "with recursive ", 1) + """
+, near as materialized (select p.pix as a, q.pix as b, p.s as h, q.s as g from (select sm.*, dy, dx from sm, (values (0, 1), (1, 0), (0, -1), (-1, 0)) o(dy, dx)) p join sm q on q.y = p.y + p.dy and q.x = p.x + p.dx),
+walk(v, o) as (select pix, pix from sm union select walk.v, near.b from walk join near on near.a = walk.o and near.h = near.g),
+plateau as (select v, min(o) as seed from walk group by v)
+select v as pix, seed from plateau where seed not in (select p.seed from plateau p join near on near.a = p.v where near.g < near.h)
+"""
+
+
+@_query("regional_minima", _MINIMA)
 def regional_minima(spark: SparkSession, d: str) -> DataFrame:
     b, _, shape = _boundary(spark, d)
     return raster.regional_extrema(tables.written(raster.smooth(b, "b", 1, shape)), "s", shape, "min")
 
 
-@_query("distance_transform")
+# Along the rows by the last wall on either side, then along the columns.
+_DISTANCES = _SMOOTHED + """
+, size as (select max(y) + 1 as n from b),
+walls as (select pix, y, x, case when s >= 7000 then x end as wall from b),
+sides as (select pix, y, x, max(wall) over (partition by y order by x) as l, min(wall) over (partition by y order by x desc) as r from walls),
+across as (select pix, y, x, least(x - l, r - x) as step from sides)
+select p.pix, least(2 * n * n + 1, coalesce(min((p.y - q.y) * (p.y - q.y) + q.step * q.step), 2 * n * n + 1))::bigint as d
+from across p join across q on q.x = p.x, size group by p.pix, n
+"""
+
+
+@_query("distance_transform", _DISTANCES)
 def distance_transform(spark: SparkSession, d: str) -> DataFrame:
     b, _, shape = _boundary(spark, d)
     return watershed.distance_transform(b, shape, 7000).select("pix", "d")
@@ -771,7 +790,20 @@ def air_bridges(spark: SparkSession, d: str) -> DataFrame:
     return raster.air_bridges(labels, edges).agg(F.count(F.lit(1)).alias("bridges"))
 
 
-@_query("membrane_labels")
+# Runs of free pixels in a row are walked instead of pixels.
+_FREE = f"""
+with recursive {_SITES.replace("truth as (", "truth as materialized (")},
+around as (select *, lag(gt) over r as a, lead(gt) over r as b, lag(gt) over c as e, lead(gt) over c as f from truth window r as (partition by y order by x), c as (partition by x order by y)),
+free as materialized (select pix, y, x from around where coalesce(a, gt) = gt and coalesce(b, gt) = gt and coalesce(e, gt) = gt and coalesce(f, gt) = gt),
+runs as materialized (select y, min(x) as a, max(x) as b, min(pix) as first from (select *, x - row_number() over (partition by y order by x) as island from free) group by y, island),
+touch as materialized (select p.first as f, q.first as t from runs p join runs q on abs(q.y - p.y) = 1 and q.a <= p.b and q.b >= p.a),
+walk(v, o) as (select first, first from runs union select walk.v, touch.t from walk join touch on touch.f = walk.o),
+named as (select v, min(o) as cluster from walk group by v)
+select free.pix as v, cluster from free join runs on runs.y = free.y and free.x between a and b join named on named.v = first
+"""
+
+
+@_query("membrane_labels", _FREE)
 def membrane_labels(spark: SparkSession, d: str) -> DataFrame:
     """Components of the pixels off the membrane, the membrane being where a neighbour has another site."""
     shape, _ = workloads.raster_shape(spark, d)
@@ -789,6 +821,12 @@ def augment_turn(spark: SparkSession, d: str) -> DataFrame:
     return affinity.augment(workloads.raster_truth(spark, d), shape, swap=True, flip_y=False, flip_x=True).select("pix", "gt")
 
 
+@_query("augment_flip", f"with {_SITES} select truth.y * n + (n - 1 - truth.x) as pix, gt from truth join (select pix, n from pixels) p on p.pix = truth.pix")
+def augment_flip(spark: SparkSession, d: str) -> DataFrame:
+    shape, _ = workloads.raster_shape(spark, d)
+    return affinity.augment(workloads.raster_truth(spark, d), shape, swap=False, flip_y=False, flip_x=True).select("pix", "gt")
+
+
 def _elastic_sql(cell: int = 8, reach: int = 2) -> str:
     def shift(axis: int) -> str:
         corner = lambda a, b: f"(({_NOISE.format(u=f'cy + {a}', v=f'cx + {b}', c=axis)}) % {2 * reach + 1} - {reach})"
@@ -839,12 +877,12 @@ def affinity_model(spark: SparkSession, d: str) -> DataFrame:
 # ---- other baselines
 
 
-@_query("gaec_nation")
+@_query("gaec_nation", contraction(_NATION) + _LABELS)
 def gaec_nation(spark: SparkSession, d: str) -> DataFrame:
     return multicut.by_components(workloads.places(spark, d))
 
 
-@_query("fixation_nation")
+@_query("fixation_nation", contraction(_NATION, by_size=True) + _LABELS)
 def fixation_nation(spark: SparkSession, d: str) -> DataFrame:
     return multicut.multicut(workloads.places(spark, d), method="fixation").select("v", "cluster")
 
@@ -864,7 +902,16 @@ def multicut_kl_orders(spark: SparkSession, d: str) -> DataFrame:
     return kl.join(start, "g").agg(F.count(F.lit(1)).alias("graphs"), F.count_if(F.col("cost") > F.col("before") + 1e-6).alias("worse"))
 
 
-@_query("multicut_kl_local_orders")
+# A chain's best cut is that of its negative edges: a cluster runs from one to the next.
+_CHAINS = f"""
+with e as (select * from ({_ORDERS}) where v = u + 1),
+ends as (select g, u as v from e union select g, v from e),
+heads as (select ends.g, ends.v, case when e.w > 0 then null else ends.v end as head from ends left join e on e.g = ends.g and e.v = ends.v)
+select g, v, max(head) over (partition by g order by v) as cluster from heads
+"""
+
+
+@_query("multicut_kl_local_orders", _CHAINS)
 def multicut_kl_local_orders(spark: SparkSession, d: str) -> DataFrame:
     """Short edges only: neighbouring lines."""
     return multicut.multicut(workloads.order_lines(spark, d).where("v = u + 1"), "g", "kl")

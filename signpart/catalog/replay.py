@@ -51,6 +51,41 @@ labels as (select v, min(o) as cluster from walk group by v)
 """
 
 
+def contraction(edges: str, by_size: bool = False) -> str:
+    """CTEs up to ``labels`` (v, cluster): additive contraction of one small graph, one merge (or cannot-link) a step.
+
+    ``edges`` is a query of (u, v, w).  Each step adds up the costs between the
+    clusters anew and takes the largest positive sum; with ``by_size`` the largest
+    absolute sum among pairs that aren't kept apart, and a negative one keeps its
+    pair apart.
+    """
+    moved = "case when {0} = hi then lo else {0} end"
+    a, b = moved.format("(p // 100000)"), moved.format("(p % 100000)")
+    rank, wanted = ("abs(c)", "c <> 0 and not list_contains(ex, lo * 100000 + hi)") if by_size else ("c", "c > 0")
+    return f"""
+with recursive e0 as materialized ({edges}),
+named as materialized (select x, row_number() over (order by x) as i from (select u as x from e0 union select v from e0)),
+eo as materialized (select a.i as iu, b.i as iv, e0.w from e0 join named a on a.x = e0.u join named b on b.x = e0.v),
+run(k, lab, ex) as (
+  select 0::bigint, range(1, (select count(*) from named) + 1), []::bigint[]
+  union all
+  select k + 1,
+    case when c > 0 then list_transform(lab, lambda x: case when x = hi then lo else x end) else lab end,
+    case when c > 0 then list_distinct(list_transform(ex, lambda p: least({a}, {b}) * 100000 + greatest({a}, {b}))) else list_append(ex, lo * 100000 + hi) end
+  from (
+    select * from (
+      select k, lab, ex, lo, hi, sum(w) as c
+      from (select r.k, r.lab, r.ex, e.w, least(r.lab[e.iu], r.lab[e.iv]) as lo, greatest(r.lab[e.iu], r.lab[e.iv]) as hi from run r, eo e)
+      where lo <> hi group by k, lab, ex, lo, hi
+    ) where {wanted} qualify row_number() over (order by {rank} desc, lo, hi) = 1
+  )
+),
+labels as (
+  select n.x as v, m.x as cluster from (select lab from run order by k desc limit 1) l, named n join named m on m.i = l.lab[n.i]
+)
+"""
+
+
 #: Labelings of up to nine vertices named 0 … n-1 by rank: CTEs ``place`` (v, i) and ``cand`` (cand, lab).
 def labelings(vertices: str) -> str:
     return f"""
