@@ -11,7 +11,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from signpart import kernels, schemas, tables
-from signpart.operators import graph, partition
+from signpart.functions.expressions import pair
+from signpart.operators import components, graph, partition
 
 
 def event_stream(spark: SparkSession, sf_dir: str, files: int = 8) -> DataFrame:
@@ -119,27 +120,50 @@ class GrowingPartition:
 
     Batches that come in falling |w| go on from the state, which equals the greedy
     over everything.  A batch with an edge that should have come earlier re-solves
-    the components it touches, from the edges kept.
+    the components of the attractions that it touches, from the edges kept; all
+    others keep their labels.  Each batch's edges are written once.
     """
 
     def __init__(self, spark: SparkSession, cap: int = partition.CAP):
         self.spark, self.cap = spark, cap
-        self.edges: DataFrame | None = None
+        self.paths: list[str] = []
         self.state = partition.State.empty(spark)
         self.lowest: float | None = None
 
+    @property
+    def edges(self) -> DataFrame:
+        return self.spark.read.schema(schemas.EDGES).parquet(*self.paths)
+
     def add(self, batch: DataFrame, number: int = 0) -> None:
-        batch = tables.written(batch.select(*schemas.EDGES.names))
+        path = tables.shared_folder(self.spark)
+        batch = tables.written(batch.select(*schemas.EDGES.names), path)
         low, high = batch.agg(F.min(F.abs("w")), F.max(F.abs("w"))).first()
         if high is None:
             return
-        self.edges = batch if self.edges is None else tables.written(self.edges.unionByName(batch))
+        self.paths.append(path)
         if self.lowest is None or high < self.lowest:
             self.state = partition.run_bands(batch, [partition.Band()], self.state, self.cap)
         else:
-            self.state = partition.run_bands(self.edges, [partition.Band()], partition.State.empty(self.spark), self.cap)
+            self.state = self._resolved(batch)
         self.lowest = low if self.lowest is None else min(low, self.lowest)
 
+    def _resolved(self, batch: DataFrame) -> partition.State:
+        """The state after solving the touched components anew; between them and the others there are only repulsions."""
+        edges, old = self.edges, self.state
+        component = tables.written(components.components(edges.where("w > 0"), graph.vertices(edges)))
+        hit = component.join(graph.vertices(batch), "v", "left_semi").select("cluster").distinct()
+        touched = tables.written(component.join(hit, "cluster", "left_semi").select("v"))
+        is_u, is_v = touched.select(F.col("v").alias("u"), F.lit(True).alias("at_u")), touched.select("v", F.lit(True).alias("at_v"))
+        ends = edges.join(is_u, "u", "left").join(is_v, "v", "left").where("at_u or at_v")
+        ends = tables.written(ends.select(*schemas.EDGES.names, (F.col("at_u") & F.col("at_v")).alias("inner")).fillna(False, ["inner"]))
+        new = partition.run_bands(ends.where("inner").drop("inner"), [partition.Band()], partition.State.empty(self.spark), self.cap)
+        labels = tables.written(old.labels.join(touched, "v", "left_anti").select("v", "cluster").unionByName(new.labels.select("v", "cluster")))
+        # A cluster is named by a vertex of its own, so its name tells whether it was touched.
+        kept = old.exclusions.join(touched.withColumnRenamed("v", "a"), "a", "left_anti").join(touched.withColumnRenamed("v", "b"), "b", "left_anti").select("a", "b")
+        a, b = pair("cu", "cv")
+        across = components.relabelled(ends.where("not inner").drop("inner"), labels).select(a.alias("a"), b.alias("b"))
+        return partition.State(labels, tables.written(kept.unionByName(new.exclusions.select("a", "b")).unionByName(across).distinct()))
+
     def labels(self) -> DataFrame:
         everyone = graph.vertices(self.edges)
         return everyone.join(self.state.labels, "v", "left").select("v", F.coalesce("cluster", "v").alias("cluster"))

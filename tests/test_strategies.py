@@ -101,3 +101,17 @@ def test_following_a_stream_of_edges(spark):
     for part in (rows[:10], rows[10:20], rows[20:]):  # out of order: earlier edges come late
         growing.add(spark.createDataFrame(part, edges.schema))
     assert labels_of(growing.labels()) == reference(edges).labels
+
+
+def test_late_edges_leave_other_components_alone(spark):
+    from signpart.streaming import streams
+
+    # Three groups that attract inside and repel across; batches in turn late and in order.
+    rows = [(10 * g + a, 10 * g + b, float(s * (100 - 7 * a - 3 * b - g)), 0) for g in range(3) for a, b, s in ((0, 1, 1), (1, 2, 1), (0, 2, -1), (2, 3, 1), (1, 3, -1))]
+    rows += [(1, 12, -40.5, 0), (2, 23, -30.5, 0), (13, 22, -20.5, 0)]
+    later = [[r for r in rows if r[0] < 10], [r for r in rows if 10 <= r[0] < 20], [r for r in rows if r[0] >= 20], [(3, 10, 99.5, 0)], [(13, 20, 1.5, 0), (3, 23, 0.5, 0)]]
+    growing, seen = streams.GrowingPartition(spark), []
+    for batch in later:
+        seen += batch
+        growing.add(built(spark, batch))
+        assert labels_of(growing.labels()) == reference(built(spark, seen)).labels
