@@ -140,3 +140,18 @@ def test_distance_transform_equals_brute_force():
 def test_partitions_are_counted_by_bell_numbers():
     assert [sum(1 for _ in kernels.partitions(n)) for n in range(1, 7)] == [1, 2, 5, 15, 52, 203]
     assert len(set(itertools.chain.from_iterable([list(kernels.partitions(5))]))) == 52
+
+
+def test_probe_cost_streams_components(spark):
+    """Counters of separate graphs add up to those of all edges in one kernel, and no task takes all edges as one group."""
+    from signpart.operators import graph, partition
+
+    rows = [(u + 100 * g, v + 100 * g, w, c) for g in range(5) for u, v, w, c in random_edges(14, 60, g, distinct=False)]
+    edges = graph.build(spark.createDataFrame(rows, "u long, v long, w double, channel int")).cache()
+    frame = edges.toPandas()
+    want = kernels.greedy(frame["u"], frame["v"], frame["w"], frame["edge_id"]).counters
+    for small in (3, 10_000):
+        made = partition.probe_cost(edges, small)
+        assert {r["counter"]: r["n"] for r in made.collect()} == want
+        assert "FlatMapGroupsInPandas" not in made._jdf.queryExecution().toString()
+    assert {r["n"] for r in partition.probe_cost(edges.limit(0)).collect()} == {0}
