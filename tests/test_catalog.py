@@ -45,3 +45,15 @@ def test_no_cartesian_product_in_the_partition(spark):
     edges = tables.written(workloads.places(spark, DATA))
     plan = partition.partition(edges, strategy="kernel").labels._jdf.queryExecution().toString()
     assert "CartesianProduct" not in plan
+
+
+MOVED = ["cover_missing", "inconsistent_example"]
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_reads_a_given_table(spark, monkeypatch, name):
+    read, table = set(), tables.table
+    monkeypatch.setattr(tables, "table", lambda s, d, t: read.add(t) or table(s, d, t))
+    assert entry.queries()[name](spark, DATA).count() > 0 and "lineitem" in read
+    monkeypatch.undo()
+    test_against_sql(spark, name)
