@@ -47,7 +47,7 @@ def test_no_cartesian_product_in_the_partition(spark):
     assert "CartesianProduct" not in plan
 
 
-MOVED = ["cover_missing", "inconsistent_example"]
+MOVED = ["bad_cycles_example", "cover_missing", "inconsistent_example"]
 
 
 @pytest.mark.parametrize("name", MOVED)
