@@ -47,7 +47,7 @@ def test_no_cartesian_product_in_the_partition(spark):
     assert "CartesianProduct" not in plan
 
 
-MOVED = ["bad_cycles_example", "cover_missing", "inconsistent_example"]
+MOVED = ["bad_cycles_example", "cover_missing", "dominant_power_check", "inconsistent_example"]
 
 
 @pytest.mark.parametrize("name", MOVED)
@@ -57,3 +57,7 @@ def test_reads_a_given_table(spark, monkeypatch, name):
     assert entry.queries()[name](spark, DATA).count() > 0 and "lineitem" in read
     monkeypatch.undo()
     test_against_sql(spark, name)
+
+
+def test_powers_stand_on_both_sides(spark):
+    assert {r["dominant"] for r in graphs.QUERIES["dominant_power_check"](spark, DATA).collect()} == {False, True}
