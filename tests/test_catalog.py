@@ -47,7 +47,7 @@ def test_no_cartesian_product_in_the_partition(spark):
     assert "CartesianProduct" not in plan
 
 
-MOVED = ["bad_cycles_example", "cover_missing", "dominant_power_check", "inconsistent_example", "op_edge_list_source", "op_planted_source"]
+MOVED = ["bad_cycles_example", "cover_missing", "dominant_power_check", "inconsistent_example", "op_edge_list_source", "op_planted_source", "op_recursive"]
 
 
 @pytest.mark.parametrize("name", MOVED)
