@@ -1,6 +1,7 @@
 """The kernels against each other, brute force and the worked example."""
 
 import itertools
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -155,3 +156,14 @@ def test_probe_cost_streams_components(spark):
         assert {r["counter"]: r["n"] for r in made.collect()} == want
         assert "FlatMapGroupsInPandas" not in made._jdf.queryExecution().toString()
     assert {r["n"] for r in partition.probe_cost(edges.limit(0)).collect()} == {0}
+
+
+def test_moves_do_not_try_settled_pairs_again(monkeypatch):
+    """One row of vertices that takes many rounds, beside 40 pairs that are settled at once and are then left alone."""
+    tried = Counter()
+    monkeypatch.setattr(kernels, "min", lambda *a, **k: (tried.update([frozenset(a[0])]) if k.get("key") else None) or min(*a, **k), raising=False)
+    us, vs, ws = list(range(30)), list(range(1, 31)), [float(k + 1) for k in range(30)]
+    pairs = [(100 + 2 * k, 101 + 2 * k) for k in range(40)]
+    labels = kernels.moves(us + [a for a, _ in pairs], vs + [b for _, b in pairs], ws + [-1.0] * 40, {x: x for x in [*range(31), *(x for p in pairs for x in p)]})
+    assert {labels[x] for x in range(31)} == {0} and all(labels[a] != labels[b] for a, b in pairs)
+    assert all(tried[frozenset(p)] == 1 for p in pairs)
