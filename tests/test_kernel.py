@@ -1,7 +1,8 @@
 """The kernels against each other, brute force and the worked example."""
 
 import itertools
-from collections import Counter
+import random
+from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
@@ -167,3 +168,88 @@ def test_moves_do_not_try_settled_pairs_again(monkeypatch):
     labels = kernels.moves(us + [a for a, _ in pairs], vs + [b for _, b in pairs], ws + [-1.0] * 40, {x: x for x in [*range(31), *(x for p in pairs for x in p)]})
     assert {labels[x] for x in range(31)} == {0} and all(labels[a] != labels[b] for a, b in pairs)
     assert all(tried[frozenset(p)] == 1 for p in pairs)
+
+
+def _plain_moves(u, v, w, labels, local):
+    """Moves as they are described: each step looks at all vertices, each prefix is searched through."""
+    near, linked, lab = defaultdict(dict), defaultdict(set), dict(labels)
+    for a, b, c, near_by in zip(u, v, w, local or [True] * len(u)):
+        near[a][b] = near[b][a] = near[a].get(b, 0.0) + c
+        if near_by:
+            linked[a].add(b)
+            linked[b].add(a)
+    groups = lambda: {c: {x for x in lab if lab[x] == c} for c in set(lab.values())}
+    pull = lambda x, s: sum(c for y, c in near[x].items() if y in s)
+
+    def whole(s):
+        seen, todo = set(list(s)[:1]), list(s)[:1]
+        while todo:
+            new = (linked[todo.pop()] & s) - seen
+            seen |= new
+            todo += new
+        return seen == s
+
+    def chain(a, b):
+        a, b, free, total, best, steps, kept = set(a), set(b), set(a) | set(b), 0.0, 0.0, [], 0
+        while free:
+            gain = {x: pull(x, b) - pull(x, a) if x in a else pull(x, a) - pull(x, b) for x in free}
+            x = min(free, key=lambda y: (-gain[y], y))
+            if total + gain[x] + sum(g for g in gain.values() if g > 0) <= best + 1e-9:
+                break
+            free.discard(x)
+            total += gain[x]
+            steps.append((x, x in a))
+            a, b = a ^ {x}, b ^ {x}
+            if total > best + 1e-9 and (local is None or (whole(a) and whole(b))):
+                best, kept = total, len(steps)
+        return best, steps[:kept]
+
+    fresh, improved = max(lab) + 1, True
+    while improved:
+        improved = False
+        for p, q in sorted({tuple(sorted((lab[a], lab[b]))) for a, b in zip(u, v) if lab[a] != lab[b]}):
+            of = groups()
+            if p not in of or q not in of:
+                continue
+            between, (gain, steps) = sum(pull(x, of[q]) for x in of[p]), chain(of[p], of[q])
+            if between > max(gain, 0) + 1e-9 and (local is None or whole(of[p] | of[q])):
+                lab.update({x: p for x in of[q]})
+                improved = True
+            elif gain > 1e-9:
+                lab.update({x: q if from_p else p for x, from_p in steps})
+                improved = True
+        for p in sorted(groups()):
+            gain, steps = chain(groups()[p], set())
+            if gain > 1e-9:
+                lab.update({x: fresh if from_p else p for x, from_p in steps})
+                fresh, improved = fresh + 1, True
+    return {x: min(s) for s in groups().values() for x in s}
+
+
+@pytest.mark.parametrize("seed", range(40))
+def test_moves_are_those_of_a_plain_search(seed):
+    """Lattices with far repulsions, more vertices than are looked at one by one."""
+    rnd = random.Random(seed)
+    n, across, lifted = rnd.randint(10, 40), rnd.randint(2, 6), seed % 2 == 0
+    pairs = [(i, i + d) for i in range(n) for d in (1, across) if i + d < n and (d == across or (i + 1) % across)]
+    far = [tuple(sorted(rnd.sample(range(n), 2))) for _ in range(2 * n)]
+    u, v = zip(*pairs, *far)
+    w = [float(rnd.randint(-2, 4)) if seed % 4 < 2 else rnd.uniform(-2, 4) for _ in pairs] + [float(rnd.randint(-4, 2)) for _ in far]
+    local = [True] * len(pairs) + [False] * len(far)
+    start = kernels.contraction(u[: len(pairs)], v[: len(pairs)], w[: len(pairs)], vertices=set(u) | set(v))
+    assert kernels.moves(u, v, w, start, local=local if lifted else None) == _plain_moves(u, v, w, start, local if lifted else None)
+
+
+def test_a_long_chain_is_not_searched_through_at_each_move(monkeypatch):
+    """One cluster of 2,500 vertices that repulsions strain but none of whose prefixes holds together: few whole searches, no look at all vertices."""
+    rnd, across = random.Random(3), 50
+    n = across * across
+    pairs = [(i, i + d) for i in range(n) for d in (1, across) if i + d < n and (d == across or (i + 1) % across)]
+    far = [tuple(sorted(rnd.sample(range(n), 2))) for _ in range(3 * n)]
+    u, v = zip(*pairs, *far)
+    w, looked = [5.0] * len(pairs) + [-8.0] * len(far), Counter()
+    monkeypatch.setattr(kernels, "min", lambda *a, **k: (looked.update(n=len(a[0])) if k.get("key") else None) or min(*a, **k), raising=False)
+    meet = kernels._Side.connected
+    monkeypatch.setattr(kernels._Side, "connected", lambda s: (looked.update(whole=s.ends is None and not s.apart and len(s.members) > n // 2) or meet(s)))
+    kernels.moves(u, v, w, dict.fromkeys(range(n), 0), local=[True] * len(pairs) + [False] * len(far), most_rounds=1)
+    assert looked["n"] <= n and looked["whole"] < 20

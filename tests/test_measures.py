@@ -118,3 +118,13 @@ def test_ties_are_never_dominated(spark):
     edges = graph.build(spark.createDataFrame([(0, 1, 5.0, 0), (1, 2, -5.0, 0)], "u long, v long, w double, channel int"))
     assert not objective.is_dominant_power(edges, 100).first()["dominant"] and objective.min_dominant_power(edges, 64) is None
     assert objective.is_dominant_power(edges.limit(0), 3).first()["dominant"]
+
+
+def test_scores_of_several_labelings_are_those_of_each(spark):
+    """One plan for all, a labeling without any true label among them."""
+    rows = [(k, (7 * i + k) % (3 + k), None if k == 2 or i % 5 == 0 else i // 9) for k in range(3) for i in range(60)]
+    table = spark.createDataFrame(rows, "k int, cluster long, gt long")
+    got = metrics.scores_by(table, "k")
+    for r in got.collect():
+        assert tuple(r)[1:] == tuple(metrics.scores_of(table.where(f"k = {r.k}").select("cluster", "gt"), "one").first())[1:]
+    assert got.count() == 3 and "NestedLoop" not in got._jdf.queryExecution().toString()
